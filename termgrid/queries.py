@@ -1,0 +1,4 @@
+"""Queries of the search engine and their DuckDB twins."""
+
+QUERIES: dict = {}
+ORACLES: dict = {}
