@@ -17,6 +17,8 @@ from .shingles import list_array, mixed, shingle_sets
 SKETCH, MISS = 32, 1e-9
 #: Lists of at most so many members are compared member by member; larger ones through leaders.
 SMALL_LIST = 12
+#: Documents of a part of a block comparison, shared shingles that are compared at once.
+BLOCK, COLUMNS = 512, 4096
 #: Largest table of ids that is broadcast.
 ID_ROWS = 1_000_000
 
@@ -77,10 +79,10 @@ def inverted_lists(reps: DataFrame, need: int, k: int) -> DataFrame:
     return held.where(F.size("vs") >= least).select("id", "score", F.explode(F.slice("vs", 1, F.size("vs") - least + 1)).alias("x")).select("x.v", "id", "score")
 
 
-def _estimated(pairs: DataFrame, reps: DataFrame, need: int, k: int) -> DataFrame:
-    """Pairs whose common values among the k smallest of the union reach the least overlap."""
-    side = lambda s: reps.select(F.col("id").alias(s), F.col("sketch").alias(f"s{s}"))
-    both = pairs.join(side("b"), "b").join(side("a"), "a")
+def _estimated(pairs: DataFrame, reps: DataFrame, need: int, k: int, percent: int) -> DataFrame:
+    """Pairs of fitting sizes whose common values among the k smallest of the union reach the least overlap."""
+    side = lambda s: reps.select(F.col("id").alias(s), F.col("n").alias(f"n{s}"), F.col("sketch").alias(f"s{s}"))
+    both = pairs.join(side("b"), "b").join(side("a"), "a").where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
     union = F.slice(F.sort_array(F.array_union("sa", "sb")), 1, k)
     return both.where(F.size(F.array_intersect(F.array_intersect("sa", "sb"), union)) * k >= need * F.size(union)).select("a", "b").distinct()
 
@@ -102,26 +104,84 @@ def links(docs: DataFrame, reps: DataFrame, width: int, percent: int, k: int) ->
     lists = checkpointed(lists.join(small, "v"))
     few = lists.where(F.col("n") <= SMALL_LIST)
     pairs = few.select("v", F.col("id").alias("a")).join(few.select("v", F.col("id").alias("b")), "v").where("a < b").select("a", "b")
-    open_ = lists.where(F.col("n") > SMALL_LIST).select("v", "id", "score", F.col("id").alias("comp"), F.lit(True).alias("minor"))
-    edges, leaders = None, 1
-    while True:
-        # one leader for each of so many parts of a list, from members outside the list's largest component
-        top = open_.where("minor").groupBy("v", F.pmod(F.xxhash64("id"), F.lit(leaders)).alias("part")).agg(F.max(F.struct("score", "id", "comp")).alias("l"))
-        led = checkpointed(top.select("v", F.col("l.id").alias("b"), F.col("l.comp").alias("cb")))
-        star = led.join(open_.select("v", F.col("id").alias("a"), "comp"), "v").where("comp <> cb").select("a", "b")
-        found = star if edges is not None else pairs.unionByName(star)
-        found = checkpointed(_estimated(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), reps, need, k))
-        new = _confirmed(found, docs, width, percent)
-        edges = checkpointed(new if edges is None else edges.unionByName(new))
-        linked = checkpointed(components(edges, "a", "b"))
-        # members that led are done: each was compared with all others outside its component
-        rest = open_.select("v", "id", "score").join(led.select("v", F.col("b").alias("id")), ["v", "id"], "left_anti")
-        rest = checkpointed(rest.join(linked.select(F.col("node").alias("id"), "component"), "id", "left").select("v", "id", "score", F.coalesce("component", "id").alias("comp")))
-        largest = rest.groupBy("v", "comp").agg(F.count("*").alias("n")).groupBy("v").agg(F.max(F.struct("n", "comp")).getField("comp").alias("main"), F.count("*").alias("comps")).where("comps > 1")
-        open_ = checkpointed(rest.join(largest, "v").select("v", "id", "score", "comp", (F.col("comp") != F.col("main")).alias("minor")))
-        if open_.isEmpty():
-            return linked
-        leaders *= 4
+    many = lists.where(F.col("n") > SMALL_LIST).select("v", "id", "score")
+    # the leader of a long list is the member whose values are the most common: in a group of copies most likely the original
+    led = many.groupBy("v").agg(F.max(F.struct("score", "id")).getField("id").alias("b"))
+    star = many.select("v", F.col("id").alias("a")).join(led, "v").where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    found = checkpointed(_estimated(pairs.unionByName(star).distinct(), reps, need, k, percent))
+    edges = checkpointed(_confirmed(found, docs, width, percent))
+    linked = checkpointed(components(edges, "a", "b"))
+    # lists that are not one component yet: their documents are compared in blocks
+    of = many.select("v", "id").join(linked.select(F.col("node").alias("id"), "component"), "id", "left").select("v", "id", F.coalesce("component", "id").alias("comp"))
+    split = of.groupBy("v").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("id").alias("head")).where("lo <> hi").select("v", "head")
+    rest = checkpointed(of.join(split, "v").select("id", "head", "comp").distinct())
+    if rest.isEmpty():
+        return linked
+    groups = checkpointed(components(rest.select(F.col("id").alias("src"), F.col("head").alias("dst"))))
+    rows = rest.select("id", "comp").distinct().join(groups.select(F.col("node").alias("id"), F.col("component").alias("cluster")), "id")
+    parts = rows.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
+    rows = rows.join(parts, "cluster").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
+    blocks = rows.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("cluster", F.least("part", "with").alias("lo"), F.greatest("part", "with").alias("hi"), "part", "id", "comp")
+    sets = full_sets(docs.join(broadcast_below(checkpointed(rest.select(F.col("id").alias("doc_id")).distinct()), ID_ROWS), "doc_id", "left_semi"), width)
+    dealt = blocks.join(sets, "id").repartition("cluster", "lo", "hi").sortWithinPartitions("cluster", "lo", "hi")
+    more = dealt.select("cluster", "lo", "hi", "part", "id", "comp", "members").mapInArrow(_blocks(percent), "a long, b long")
+    return checkpointed(components(edges.unionByName(more), "a", "b"))
+
+
+def _blocks(percent: int):
+    """Links between documents of different components, for rows sorted by block: a spanning forest for each block."""
+
+    def forest(t: pa.Table) -> pa.RecordBatch:
+        n = len(t)
+        ids, comp, part, lo, hi = (t[c].to_numpy() for c in ("id", "comp", "part", "lo", "hi"))
+        left, right = np.flatnonzero(part == lo[0]), np.flatnonzero(part == hi[0])
+        label = np.arange(n)
+        if len(np.unique(comp)) > 1:
+            members = t["members"].combine_chunks()
+            sizes = np.diff(members.offsets.to_numpy())
+            owner = np.repeat(np.arange(n), sizes)
+            _, value, held = np.unique(members.flatten().to_numpy(), return_inverse=True, return_counts=True)
+            shared = held[value] > 1
+            owner, value = owner[shared], (np.cumsum(held > 1) - 1)[value[shared]]
+            order = np.argsort(value, kind="stable")
+            owner, value = owner[order], value[order]
+            common = np.zeros((len(left), len(right)), np.float32)
+            for v in range(0, int(value[-1]) + 1 if len(value) else 0, COLUMNS):
+                a, b = np.searchsorted(value, (v, v + COLUMNS))
+                has = np.zeros((n, COLUMNS), np.float32)
+                has[owner[a:b], value[a:b] - v] = 1
+                common += has[left] @ has[right].T
+            union = sizes[left][:, None] + sizes[right][None, :] - common
+            r, c = np.nonzero((100 * common >= percent * union) & (comp[left][:, None] != comp[right][None, :]))
+            r, c = left[r], right[c]
+            while len(r):
+                before = label.copy()
+                low = np.minimum(label[r], label[c])
+                np.minimum.at(label, r, low)
+                np.minimum.at(label, c, low)
+                label = label[label]
+                if (label == before).all():
+                    break
+        some = np.flatnonzero(label != np.arange(n))
+        return pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(ids[label[some]])], ["a", "b"])
+
+    def run(batches):
+        held, key = [], None
+        for batch in batches:
+            marks = np.stack([batch.column(c).to_numpy() for c in range(3)], 1)
+            edges = [0, *(np.flatnonzero((marks[1:] != marks[:-1]).any(1)) + 1).tolist(), len(marks)]
+            for x, y in zip(edges, edges[1:]):
+                if x == y:
+                    continue
+                if held and tuple(marks[x]) != key:
+                    yield forest(pa.Table.from_batches(held).combine_chunks())
+                    held = []
+                key = tuple(marks[x])
+                held.append(batch.slice(x, y - x))
+        if held:
+            yield forest(pa.Table.from_batches(held).combine_chunks())
+
+    return run
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, k: int = SKETCH) -> DataFrame:
@@ -129,9 +189,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, k: int =
 
     Documents with equal sets form a class; a class is compared through its smallest id. Candidates share retained values
     (``inverted_lists``), are filtered by the similarity estimated from the sketch of the union, and are confirmed on the
-    full sets. A large list is not paired out: its leader is compared with all members, members that are still in other
-    components lead next, until every list is one component or all its members led. So no link between components is lost
-    but with the chance ``MISS`` of the sketch filter, and a group of n copies costs n comparisons, not n * n.
+    full sets. A long list is not paired out: its leader is compared with all members, and only documents of lists that
+    are then still in several components are compared in blocks of full sets, which return a spanning forest. So no link
+    between components is lost but with the chance ``MISS`` of the sketch filter, and rows stay in proportion to documents.
 
     Texts that are null or without words have the size 0 and are alone. Rows with one ``doc_id`` form one node. Rows with
     a null ``doc_id`` link with nothing: their component and ``kept`` are null. Other columns don't matter.
