@@ -4,14 +4,15 @@ from __future__ import annotations
 
 import os
 import re
+from array import array
 
 #: White space after which the tokenizers split in any case (fixed values).
 _WIDE = "\x85\xa0  -     　"
 _WHITE = "\t\n\x0b\x0c\r " + _WIDE
 _PIECES = re.compile(f"[{_WHITE}]*[^{_WHITE}]+|[{_WHITE}]+")
-_UNUSUAL = re.compile(f"[\t\x0b\x0c\r\0{_WIDE}]|[ \n][ \n]")
+_UNUSUAL = re.compile(f"[\t\x0b\x0c\r\0{_WIDE}]")
 #: Pieces kept for each worker, in two generations.
-KEPT = 250_000
+KEPT = 600_000
 _encoders: dict[str, Encoder] = {}
 
 
@@ -28,29 +29,43 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
+        self.stops = {c: array("I", self.tokenizer.encode(c, add_special_tokens=False).ids).tobytes() for c in ".,"}
+        self.words: dict[str, bytes] = {}
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
-    def encode(self, texts: list[str | None]) -> list[bytes]:
-        import numpy as np
+    def _cut(self, text: str) -> list[str]:
+        if _UNUSUAL.search(text) or "  " in text or "\n\n" in text or " \n" in text or "\n " in text:
+            return _PIECES.findall(text)
+        return text.replace(" ", "\0 ").replace("\n", "\0\n").split("\0") if text else []
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Encodes pieces that aren't kept. A letter and one full stop or comma after it are never merged."""
+        known, words = self.new, self.words
+        bare = [p[:-1] if p[-1:] in ".," and p[-2:-1].isalpha() else p for p in pieces]
+        missing = list({w for w in bare if w not in known and w not in words})
+        for i in range(0, len(missing), 20_000):
+            some = missing[i : i + 20_000]
+            for w, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                words[w] = array("I", e.ids).tobytes()
+        for p, w in zip(pieces, bare):
+            ids = known[w] if w in known else words[w]
+            known[p] = ids if p is w or p == w else ids + self.stops[p[-1]]
 
-        cut = [_PIECES.findall(t) if _UNUSUAL.search(t) else t.replace(" ", "\0 ").replace("\n", "\0\n").split("\0") if t else [] for t in (t or "" for t in texts)]
-        wanted = set().union(*cut) if cut else set()
+    def encode(self, texts: list[str | None]) -> list[bytes]:
+        cut = [self._cut(t or "") for t in texts]
+        wanted = set().union(*cut)
         wanted.difference_update(self.new)
         if len(self.new) + len(wanted) > KEPT:
             self.old, self.new = self.new, {}
             wanted = set().union(*cut)
-        missing = []
-        for p in wanted:
-            if (ids := self.old.get(p)) is None:
-                missing.append(p)
-            else:
-                self.new[p] = ids
-        for i in range(0, len(missing), 20_000):
-            some = missing[i : i + 20_000]
-            for p, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self.new[p] = np.array(e.ids, "<u4").tobytes()
-        get = self.new.__getitem__
+        self.words = {}
+        old, new = self.old, self.new
+        if old:
+            new.update({p: old[p] for p in wanted & old.keys()})
+            wanted.difference_update(new)
+        self._learn(list(wanted))
+        get = new.__getitem__
         return [b"".join(map(get, c)) for c in cut]
 
 
