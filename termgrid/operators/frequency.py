@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import without
-from .volumes import Star, leaf_volumes, probed, product, volume_records, _nums
+from .volumes import Star, _nums, leaf_rows, leaf_volumes, probed, product, volume_records
 
 
 def weighted_terms(records: DataFrame, emit: str = "each") -> DataFrame:
@@ -34,11 +34,10 @@ def star_frequencies_by_key(star: Star, drop: Sequence[str] = ()) -> DataFrame:
     """The same from term counts by key: leaf texts shrink to (key, term, count) before they meet the volumes."""
     clean = lambda df: df.withColumn("terms", without(F.col("terms"), drop))
     out = clean(probed(star, ["terms"])).select(F.explode("terms").alias("term"), product(_nums(star), star.number()).alias("part"))
-    volumes = leaf_volumes(star) if star.leaves else out
-    for i, leaf in enumerate(star.leaves, 1):
-        counts = clean(leaf.rows).select("key", F.explode("terms").alias("term")).groupBy("key", "term").agg(F.count("*").alias("n"))
-        own = volumes.where(F.col("leaf") == i).select(F.col("key").alias("_key"), "volume")
-        out = out.unionByName(counts.join(own, F.col("key") == F.col("_key")).select("term", (F.col("n") * F.col("volume")).cast(star.number()).alias("part")))
+    if star.leaves:
+        counts = clean(leaf_rows(star)).select("leaf", "key", F.explode("terms").alias("term")).groupBy("leaf", "key", "term").agg(F.count("*").alias("n"))
+        rows = counts.join(leaf_volumes(star), ["leaf", "key"])
+        out = out.unionByName(rows.select("term", (F.col("n") * F.col("volume")).cast(star.number()).alias("part")))
     return sum_terms(out)
 
 

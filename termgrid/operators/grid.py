@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .frequency import sum_terms
-from .volumes import Star, product
+from .volumes import Star, leaf_rows, product
 
 # ---- shares and cost -------------------------------------------------------------------------------------------------
 
@@ -171,9 +171,8 @@ def grid_frequencies(star: Star, shares: Sequence[int], slots: dict[int, int] |
     each = F.array(*[F.struct(F.lit(i + 1).alias("leaf"), F.col(key).alias("key"), product([n for j, n in enumerate(ns) if j != i], number).alias("part")) for i, key in enumerate(star.keys)])
     local = probe.select("slot", F.inline(each)).groupBy("slot", "leaf", "key").agg(F.sum("part").alias("volume"))
     volumes = local.groupBy("leaf", "key").agg(F.sum("volume").alias("volume"))
-    for i, leaf in enumerate(star.leaves, 1):
-        own = volumes.where(F.col("leaf") == i).select(F.col("key").alias("_key"), "volume")
-        out = out.unionByName(leaf.rows.join(own, F.col("key") == F.col("_key")).select(F.explode(without(F.col("terms"), drop)).alias("term"), F.col("volume").alias("part")))
+    rows = leaf_rows(star).join(volumes, ["leaf", "key"])
+    out = out.unionByName(rows.select(F.explode(without(F.col("terms"), drop)).alias("term"), F.col("volume").alias("part")))
     return sum_terms(out)
 
 

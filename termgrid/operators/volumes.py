@@ -90,14 +90,25 @@ def leaf_volumes(star: Star, only: int | None = None) -> DataFrame:
     return rows.select(F.inline(each)).groupBy("leaf", "key").agg(F.sum("part").alias("volume"))
 
 
+def leaf_rows(star: Star, columns: Sequence[str] = ("terms",)) -> DataFrame:
+    """``(leaf, key, columns)`` of all leaves in one table, so that one join meets one table of volumes."""
+    parts = [leaf.rows.select(F.lit(i).alias("leaf"), "key", *columns) for i, leaf in enumerate(star.leaves, 1)]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
 def volume_records(star: Star) -> DataFrame:
-    """``(node, key, volume, terms)`` of every tuple that occurs in a result; node 0 is the root (its key is null)."""
+    """``(node, key, volume, terms)`` of every tuple that occurs in a result; node 0 is the root (its key is null).
+
+    The root is probed twice, whatever the number of leaves: for its own terms, and for all leaves' volumes.
+    """
     root = probed(star, ["terms"]).select(F.lit(0).alias("node"), F.lit(None).cast("string").alias("key"), product(_nums(star), star.number()).alias("volume"), "terms")
-    volumes = leaf_volumes(star) if star.leaves else root
-    for i, leaf in enumerate(star.leaves, 1):
-        own = volumes.where(F.col("leaf") == i).select(F.col("key").alias("_key"), "volume")
-        root = root.unionByName(leaf.rows.join(own, F.col("key") == F.col("_key")).select(F.lit(i).alias("node"), F.col("key").cast("string").alias("key"), "volume", "terms"))
-    return root
+    if not star.leaves:
+        return root
+    rows = leaf_rows(star).join(leaf_volumes(star), ["leaf", "key"])
+    return root.unionByName(rows.select(F.col("leaf").alias("node"), F.col("key").cast("string").alias("key"), "volume", "terms"))
 
 
 def result_count(star: Star) -> DataFrame:

@@ -102,12 +102,16 @@ def batch_frequencies(db: Database, shape: str, queries: Sequence[tuple[int, lis
     for i in range(n):
         every = every * F.col(f"n{i}")
     out = facts.select("qid", F.explode("terms").alias("term"), every.alias("part"))
+    each, all_rows = [], None
     for i, (key, rows) in enumerate(leaves):
         others = F.lit(1).cast("bigint")
         for j in range(n):
             others = others * F.col(f"n{j}") if j != i else others
-        volume = facts.groupBy(F.col("qid").alias("vq"), F.col(key).alias("vk")).agg(F.sum(others).alias("part"))
-        out = out.unionByName(rows.join(volume, (F.col("qid") == F.col("vq")) & (F.col("key") == F.col("vk"))).select("qid", F.explode("terms").alias("term"), "part"))
+        each.append(F.struct(F.lit(i).alias("leaf"), F.col(key).alias("key"), others.alias("part")))
+        tagged = rows.select("qid", F.lit(i).alias("leaf"), "key", "terms")
+        all_rows = tagged if all_rows is None else all_rows.unionByName(tagged)
+    volumes = facts.select("qid", F.inline(F.array(*each))).groupBy("qid", "leaf", "key").agg(F.sum("part").alias("part"))
+    out = out.unionByName(all_rows.join(volumes, ["qid", "leaf", "key"]).select("qid", F.explode("terms").alias("term"), "part"))
     return out.groupBy("qid", "term").agg(F.sum("part").alias("freq"))
 
 
