@@ -86,7 +86,7 @@ def _ids(name, texts, end):
     return [np.array([*e.ids, end], "<u4") for e in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
 
 
-TRICKY = ["", None, " ", "a  b", "a\n b", "a \nb", "x\t \ty", "it's don't 'll", "A.B, c.. d,, e.", "<|endoftext|> <|startoftext|>", "é́ Σας ΟΔΟΣ", "a  b c", "\0 \0x", "1,000. 2.", "trailing ", "\n\nlead", "日本語。 です", "\x1c a\x1db \x85c", "ß. ŉ. ǰ,"]
+TRICKY = ["", None, " ", "a  b", "a\n b", "a \nb", "x\t \ty", "it's don't 'll", "A.B, c.. d,, e.", "<|endoftext|> <|startoftext|>", "é́ Σας ΟΔΟΣ", "a  b c", "\0 \0x", "1,000. 2.", "trailing ", "\n\nlead", "日本語。 です", "\x1c a\x1db \x85c", "ß. ŉ. ǰ,", "İ. aİ, ab\nİ.", "Über... señor*** \nÉté$$$ ẞ, ſſ. ΣΑΣ, ﬁn. été, n't's! x²y, Ⅷ. ª."]
 
 
 @pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
