@@ -27,7 +27,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """``docs`` less repeated lines; a document that loses all its words goes."""
-    out = line_dedup.drop_repeated_lines(docs).where((F.col("tpl_dropped") == 0) | (word_count(F.col("text")) > 0))
+    out = line_dedup.drop_repeated_lines(docs, passage_docs=line_dedup.PASSAGE_DOCS).where((F.col("tpl_dropped") == 0) | (word_count(F.col("text")) > 0))
     return out.select(*[F.when(F.col("tpl_dropped") > 0, F.length("text").cast(docs.schema[c].dataType)).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
 
 

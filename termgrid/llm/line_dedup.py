@@ -11,6 +11,8 @@ from .common import SPACES, checkpointed, words
 LEADING, PARTS, VARIES_FROM = 3, 4, 12
 #: Documents in which a template must occur to recur.
 MIN_DOCS = 5
+#: Words above which a line is a passage, and documents in which the template of a passage must occur to recur.
+PASSAGE_WORDS, PASSAGE_DOCS = 50, 2
 
 
 def _templates(line: Column) -> Column:
@@ -18,7 +20,7 @@ def _templates(line: Column) -> Column:
 
     The path to the leaf is the token count and the leading tokens, tokens with digits being fields. Under it the other
     tokens form equal parts; a template leaves one part open, so lines that differ in that part only share it. Short
-    lines have one template without an open part.
+    lines have one template without an open part. The lowest bit of the first hash tells passages.
     """
     masked = F.when(line.rlike("[0-9]"), F.regexp_replace(line, r"[^\x20\x09-\x0D]*[0-9][^\x20\x09-\x0D]*", "<*>")).otherwise(line)
 
@@ -26,17 +28,18 @@ def _templates(line: Column) -> Column:
         n = F.size(w)
         lead, step = F.xxhash64(n, F.slice(w, 1, LEADING)), F.ceil((n - LEADING) / PARTS).cast("int")
         parts = [F.xxhash64(F.slice(w, LEADING + 1 + step * p, F.greatest(step, F.lit(0)))) for p in range(PARTS)]
-        pair = lambda open_, *of: F.struct(F.xxhash64(F.lit(open_), *of).alias("a"), F.xxhash64(*of, F.lit(open_), F.lit("b")).alias("b"))
+        flag = (n > PASSAGE_WORDS).cast("long")
+        pair = lambda open_, *of: F.struct(F.xxhash64(F.lit(open_), *of).bitwiseAND(F.lit(-2)).bitwiseOR(flag).alias("a"), F.xxhash64(*of, F.lit(open_), F.lit("b")).alias("b"))
         return F.when(n < VARIES_FROM, F.array(pair(-1, lead, F.xxhash64(w)))).otherwise(F.array(*[pair(p, lead, *[x for k, x in enumerate(parts) if k != p]) for p in range(PARTS)]))
 
     return F.get(F.transform(F.array(words(masked)), of), F.lit(0))
 
 
-def repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
+def repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS, passage_docs: int | None = None) -> DataFrame:
     """``(doc_id, drop)``: positions, from 0, of the lines to drop, for documents that have any.
 
-    A line is dropped if one of its templates occurs in ``min_docs`` documents or more and in a document of smaller
-    ``doc_id``: the first document keeps its lines. Counting is a partial aggregate, so one line in every document costs
+    A line is dropped if one of its templates occurs in ``min_docs`` documents or more (``passage_docs``, if given, for
+    passages) and in a document of smaller ``doc_id``: the first document keeps its lines. Counting is a partial aggregate, so one line in every document costs
     one row for each task.
     """
     lines = docs.where("doc_id is not null and text is not null").select("doc_id", F.posexplode(F.split("text", "\n")).alias("pos", "line")).where(F.btrim("line", F.lit(SPACES)) != "")
@@ -44,18 +47,19 @@ def repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
     flat = seen.select("doc_id", "pos", F.explode("templates").alias("t")).select("doc_id", "pos", "t.a", "t.b")
     # within a document a template counts once
     in_doc = seen.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_list("templates"))).alias("ts")).select("doc_id", F.explode("ts").alias("t")).select("doc_id", "t.a", "t.b")
-    recurring = in_doc.groupBy("a", "b").agg(F.count("*").alias("n"), F.min("doc_id").alias("first")).where(F.col("n") >= min_docs).select("a", "b", "first")
+    least = F.when(F.col("a").bitwiseAND(F.lit(1)) == 1, min_docs if passage_docs is None else passage_docs).otherwise(min_docs)
+    recurring = in_doc.groupBy("a", "b").agg(F.count("*").alias("n"), F.min("doc_id").alias("first")).where(F.col("n") >= least).select("a", "b", "first")
     return flat.join(recurring, ["a", "b"]).where("doc_id > first").groupBy("doc_id").agg(F.collect_set("pos").alias("drop"))
 
 
-def drop_repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
+def drop_repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS, passage_docs: int | None = None) -> DataFrame:
     """``docs`` with ``text`` less its repeated lines, and ``tpl_lines`` / ``tpl_dropped`` (lines with a word, those dropped).
 
     Null ids and null texts pass untouched, with 0 lines for null texts; empty and blank lines stay. Rows with one
     ``doc_id`` count as one document and lose the same positions. Other columns stay; clashing ``tpl_*`` are replaced.
     """
     kept = [c for c in docs.columns if not c.startswith("tpl_")]
-    drops = repeated_lines(docs, min_docs).select(F.col("doc_id").alias("tpl_key"), F.col("drop").alias("tpl_drop"))
+    drops = repeated_lines(docs, min_docs, passage_docs).select(F.col("doc_id").alias("tpl_key"), F.col("drop").alias("tpl_drop"))
     out = docs.select(*kept).join(drops, F.col("doc_id") == F.col("tpl_key"), "left")
     lines = F.split("text", "\n")
     rest = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("tpl_drop"), i)), "\n")

@@ -49,11 +49,20 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
-def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+def _line_dedup(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
+    out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents").select("doc_id", "text"), **how)
     return out.select("doc_id", F.col("tpl_lines").alias("n_lines"), F.col("tpl_dropped").alias("n_dropped"), F.length("text").cast("long").alias("n_chars_left"), F.md5("text").alias("text_md5"))
 
 
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _line_dedup(spark, sf_dir)
+
+
+def op9_line_dedup_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The lines of ``op9_line_dedup`` and passages from their second document on, as in the pipeline."""
+    return _line_dedup(spark, sf_dir, passage_docs=line_dedup.PASSAGE_DOCS)
+
+
 def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = licenses.scan(table(spark, sf_dir, "documents"), "doc_id")
     return out.withColumn("licenses", F.array_join("licenses", ","))
@@ -69,6 +78,7 @@ QUERIES = {
     "op7_html_main_text": op7_html_main_text,
     "op8_quality_rules": op8_quality_rules,
     "op9_line_dedup": op9_line_dedup,
+    "op9_line_dedup_passages": op9_line_dedup_passages,
     "op10_license_scan": op10_license_scan,
 }
 ORACLES = {"op1_mix_sources": mixing.SQL, "op8_quality_rules": quality.SQL, "op9_line_dedup": line_dedup.SQL, "op10_license_scan": licenses.SQL}

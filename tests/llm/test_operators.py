@@ -356,6 +356,19 @@ def test_lines_of_one_template(spark):
     assert all(r.tpl_dropped == 0 for r in few.collect())
 
 
+def test_passages_go_from_their_second_document_on(spark):
+    from corpus_pipeline import drop_lines
+
+    passage = " ".join(f"p{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(51))
+    other = passage.rsplit(" ", 3)[0] + " ends with else"
+    docs = [(i, f"text that is {'abcd'[i]} alone\n{x}") for i, x in enumerate([passage, passage, other, " ".join(passage.split()[:50])])] + [(4, "text of e alone\n" + " ".join(passage.split()[:50]))]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = {r.doc_id: r.text for r in drop_lines(spark, df, SF).collect()}
+    # 51 words are a passage, whole or with one part of its own; 50 words are a line
+    assert got == {d: t.split("\n")[0] if d in (1, 2) else t for d, t in docs}
+    assert all(r.tpl_dropped == 0 for r in line_dedup.drop_repeated_lines(df).collect())
+
+
 def test_lines_odd_rows(odd, empty):
     got = line_dedup.drop_repeated_lines(odd)
     assert got.count() == odd.count() and "tpl_key" not in got.columns
