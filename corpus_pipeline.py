@@ -20,7 +20,7 @@ REJECTED_ROWS = 1_000_000
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows of ``docs`` that the base rules and the certified cutoffs keep."""
     key = F.xxhash64("text")
-    judged = quality.judge(docs.withColumn("row_key", key), table(spark, sf_dir, "labels"), keep=("row_key",))
+    judged = quality.judge(docs.withColumn("row_key", key), table(spark, sf_dir, "labels"), keep=("row_key",), choose=quality.joint_cutoffs)
     rejected = broadcast_below(checkpointed(judged.where("not kept").select(F.col("doc_id").alias("bad_id"), F.col("row_key").alias("bad_key")).distinct()), REJECTED_ROWS)
     return docs.join(rejected, F.col("doc_id").eqNullSafe(F.col("bad_id")) & key.eqNullSafe(F.col("bad_key")), "left_anti")
 

@@ -44,11 +44,20 @@ def op7_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract(table(spark, sf_dir, "pages"))
 
 
-def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = quality.judge(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), table(spark, sf_dir, "labels"))
+def _quality_rules(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
+    out = quality.judge(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), table(spark, sf_dir, "labels"), **how)
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _quality_rules(spark, sf_dir)
+
+
+def op8_quality_rules_joint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The rules of ``op8_quality_rules`` with cutoffs certified together, as in the pipeline."""
+    return _quality_rules(spark, sf_dir, choose=quality.joint_cutoffs)
+
+
 def _line_dedup(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
     out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents").select("doc_id", "text"), **how)
     return out.select("doc_id", F.col("tpl_lines").alias("n_lines"), F.col("tpl_dropped").alias("n_dropped"), F.length("text").cast("long").alias("n_chars_left"), F.md5("text").alias("text_md5"))
@@ -77,6 +86,7 @@ QUERIES = {
     "op6_best_fit_packing": op6_best_fit_packing,
     "op7_html_main_text": op7_html_main_text,
     "op8_quality_rules": op8_quality_rules,
+    "op8_quality_rules_joint": op8_quality_rules_joint,
     "op9_line_dedup": op9_line_dedup,
     "op9_line_dedup_passages": op9_line_dedup_passages,
     "op10_license_scan": op10_license_scan,

@@ -342,6 +342,25 @@ def test_certified_bound_is_the_exact_tail(spark):
         assert got[(n, k)] == (k < 0.02 * n and tail <= quality.FAILURE / 100), (n, k)
 
 
+def test_joint_cutoffs_serve_small_strata(spark):
+    docs, labels = [], []
+    for k, (lang, good) in enumerate([("de", 400), ("fr", 400), (None, 400), ("rare", 60)]):
+        for i in range(good + 40):
+            bad = i >= good
+            text = " ".join(f"w{j}{' #' if bad and j % 4 == 0 else ''}" for j in range(60)) + (" !!" * 30 if lang == "fr" and i % 9 == 0 else "")
+            docs.append((k * 1000 + i, text, lang))
+            labels.append((k * 1000 + i, int(not bad)))
+    df, known = spark.createDataFrame(docs, "doc_id long, text string, lang string"), spark.createDataFrame(labels, "doc_id long, quality int")
+    quality_of, lang_of = dict(labels), {d: x for d, _, x in docs}
+    out = {}
+    for choose in (quality.cutoffs, quality.joint_cutoffs):
+        gone = Counter((lang_of[r.doc_id], quality_of[r.doc_id]) for r in quality.judge(df, known, choose=choose).where("not kept").collect())
+        out[choose.__name__] = gone
+    assert not out["cutoffs"]
+    # 60 good ones certify nothing; no good document has symbols
+    assert out["joint_cutoffs"] == {("de", 0): 40, ("fr", 0): 40, (None, 0): 40}
+
+
 # ---- 9 lines, 10 licences --------------------------------------------------------------------------------------------
 
 
