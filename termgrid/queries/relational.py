@@ -220,6 +220,12 @@ def distribution_windows(db):
     return db.table("orders").where("o_custkey < 200").select("o_orderkey", F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"), F.first("o_orderkey").over(w).alias("first_order"))
 
 
+@query("select o_orderkey, percent_rank() over w as pr, cume_dist() over w as cd, first_value(o_orderkey) over w as first_order from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey)")
+def distribution_windows_whole(db):
+    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+    return db.table("orders").select("o_orderkey", F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"), F.first("o_orderkey").over(w).alias("first_order"))
+
+
 @query(f"select term, freq from ({STAR_FREQ}) f order by freq desc, term")
 def global_sort_terms(db):
     return _star(db).orderBy(F.desc("freq"), "term")
@@ -264,6 +270,23 @@ def intersect_all_terms(db):
     return x.where("l_orderkey < 50").select("l_returnflag").intersectAll(x.where("l_orderkey between 20 and 60").select("l_returnflag"))
 
 
+_WORDS, _ITEMS = (f"select unnest({sql.tokens('text')}) as term from {t}" for t in ("documents", "benchmark"))
+
+
+def _words(db, name):
+    return db.table(name).select(F.explode(tokenize(F.col("text"))).alias("term"))
+
+
+@query(f"{_WORDS} except all {_ITEMS}")
+def except_all_terms_whole(db):
+    return _words(db, "documents").exceptAll(_words(db, "benchmark"))
+
+
+@query(f"{_WORDS} intersect all {_ITEMS}")
+def intersect_all_terms_whole(db):
+    return _words(db, "documents").intersectAll(_words(db, "benchmark"))
+
+
 # ---- functions -------------------------------------------------------------------------------------------------------
 
 
@@ -307,6 +330,12 @@ def map_term_counts(db):
     return db.view("documents").where("doc_id < 50").select("doc_id", F.explode(term_counts(F.col("terms"))).alias("term", "n"))
 
 
+@query(f"select doc_id, term, count(*)::bigint as n from (select doc_id, unnest({sql.tokens('text')}) as term from documents) x group by all")
+def map_term_counts_whole(db):
+    # counted by a shuffle: a map of counts takes terms times distinct terms for each text
+    return db.view("documents").select("doc_id", F.explode("terms").alias("term")).groupBy("doc_id", "term").agg(F.count("*").alias("n"))
+
+
 @query("select event_id, json_extract(props, '$.k')::bigint as k from events")
 def json_props(db):
     return db.table("events").select("event_id", F.from_json("props", "k bigint").getField("k").alias("k"))

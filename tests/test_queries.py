@@ -34,3 +34,10 @@ def test_nothing_else_imports_the_corpus_operators():
     for p in root.rglob("*.py"):
         if "llm" not in p.relative_to(root).parts:
             assert "llm" not in p.read_text(), p
+
+
+def test_whole_queries_cover_all_documents_and_orders(spark):
+    read = lambda t: spark.read.parquet(f"{SF}/{t}.parquet")
+    assert QUERIES["map_term_counts_whole"](spark, SF).select("doc_id").distinct().count() == read("documents").where("text rlike '[a-zA-Z]'").count()
+    assert QUERIES["distribution_windows_whole"](spark, SF).count() == read("orders").count()
+    assert QUERIES["intersect_all_terms_whole"](spark, SF).count() > 0 and QUERIES["except_all_terms_whole"](spark, SF).count() > 0
