@@ -89,6 +89,28 @@ def triangle_cost_table(db):
     return n.crossJoin(v).select("a", "b", "c", (F.col("r") * F.col("c") + F.col("s") * F.col("a") + F.col("t") * F.col("b")).alias("cost"))
 
 
+def whole_triangle(db: Database) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The pairs of part and supplier, supplier and order, part and order of all line items."""
+    pairs = db.table("lineitem").select(F.col("l_partkey").alias("a"), F.col("l_suppkey").alias("b"), F.col("l_orderkey").alias("c"))
+    return tuple(pairs.select(*p).where(f"{p[0]} is not null and {p[1]} is not null").distinct() for p in ("ab", "bc", "ac"))
+
+
+@query("with l as (select l_partkey as a, l_suppkey as b, l_orderkey as c from lineitem) select a, b, c from (select distinct a, c from l) t join (select distinct b, c from l) s using (c) join (select distinct a, b from l) r using (a, b)")
+def triangle_grid_join_whole(db):
+    # orders have few suppliers, suppliers many parts: the join over orders comes first, so the roles of a and c are turned
+    r, s, t = whole_triangle(db)
+    turned = grid.grid_triangle_join(t.select(F.col("a"), F.col("c").alias("b")), s.select(F.col("c").alias("b"), F.col("b").alias("c")), r.select("a", F.col("b").alias("c")), [2, 2, 2])
+    return turned.select("a", F.col("c").alias("b"), F.col("b").alias("c"))
+
+
+@query("with l as (select l_partkey as a, l_suppkey as b, l_orderkey as c from lineitem), n as (select (select count(*) from (select distinct a, b from l where a is not null and b is not null) x) as r, (select count(*) from (select distinct b, c from l where b is not null and c is not null) y) as s, (select count(*) from (select distinct a, c from l where a is not null and c is not null) z) as t) select v.a::int as a, v.b::int as b, v.c::int as c, (n.r * v.c + n.s * v.a + n.t * v.b)::bigint as cost from n, (values (1, 1, 8), (1, 2, 4), (2, 2, 2), (4, 2, 1), (8, 1, 1)) v(a, b, c)")
+def triangle_cost_table_whole(db):
+    r, s, t = whole_triangle(db)
+    n = r.agg(F.count("*").alias("r")).crossJoin(s.agg(F.count("*").alias("s"))).crossJoin(t.agg(F.count("*").alias("t")))
+    v = db.spark.createDataFrame([(1, 1, 8), (1, 2, 4), (2, 2, 2), (4, 2, 1), (8, 1, 1)], "a int, b int, c int")
+    return n.crossJoin(v).select("a", "b", "c", (F.col("r") * F.col("c") + F.col("s") * F.col("a") + F.col("t") * F.col("b")).alias("cost"))
+
+
 # ---- shares, cells, copies -------------------------------------------------------------------------------------------
 
 

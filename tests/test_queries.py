@@ -41,3 +41,16 @@ def test_whole_queries_cover_all_documents_and_orders(spark):
     assert QUERIES["map_term_counts_whole"](spark, SF).select("doc_id").distinct().count() == read("documents").where("text rlike '[a-zA-Z]'").count()
     assert QUERIES["distribution_windows_whole"](spark, SF).count() == read("orders").count()
     assert QUERIES["intersect_all_terms_whole"](spark, SF).count() > 0 and QUERIES["except_all_terms_whole"](spark, SF).count() > 0
+
+
+def test_whole_triangle_has_every_line_item(spark):
+    lines = {tuple(r) for r in spark.read.parquet(f"{SF}/lineitem.parquet").select("l_partkey", "l_suppkey", "l_orderkey").collect()}
+    r, s, t = ({(x[i], x[j]) for x in lines} for i, j in ((0, 1), (1, 2), (0, 2)))
+    suppliers = {}
+    for b, c in s:
+        suppliers.setdefault(c, set()).add(b)
+    want = sorted((a, b, c) for a, c in t for b in suppliers[c] if (a, b) in r)
+    got = sorted(tuple(x) for x in QUERIES["triangle_grid_join_whole"](spark, SF).collect())
+    assert got == want and lines <= set(got)
+    cut = QUERIES["triangle_grid_join"](spark, SF).count()
+    assert cut < len(got)
