@@ -401,3 +401,44 @@ def test_license_rules(spark, odd, empty):
     got = licenses.scan(spark.createDataFrame([(i, t, "z") for i, t in enumerate(texts)], "doc_id long, text string, licenses string"), "doc_id").orderBy("doc_id").collect()
     assert [(list(r.licenses), r.n_matched, r.n_unknown) for r in got] == [(["Apache-2.0"], 1, 0), (["MIT", "All-Rights-Reserved"], 2, 0), (["BSD-2-Clause"], 3, 0), ([], 0, 1), ([], 0, 0), ([], 0, 0), ([], 0, 0)]
     assert licenses.scan(odd, "doc_id").count() == odd.count() and licenses.scan(empty, "doc_id").count() == 0
+
+
+MIT = """MIT License
+
+Copyright (c) 2020 A. Person
+
+Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT."""
+BSD = """Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.
+
+3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission."""
+FREE = "This {} is free software; you can redistribute it and/or modify it under the terms of the GNU {}General Public License as published by the Free Software Foundation; either version {} of the License, or (at your option) any later version."
+FULL = [
+    (MIT, "MIT"), (BSD, "BSD-3-Clause"), (BSD.split("\n\n3.")[0], "BSD-2-Clause"),
+    (FREE.format("program", "", "3"), "GPL-3.0-or-later"), (FREE.format("program", "", "2"), "GPL-2.0-or-later"), (FREE.format("library", "Lesser ", "2.1"), "LGPL-2.1-or-later"), (FREE.format("program", "Affero ", "3"), "AGPL-3.0-or-later"),
+    ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.", "MPL-2.0"),
+    ("Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.", "ISC"),
+]
+
+
+def test_full_licences_at_any_width(spark):
+    import textwrap
+
+    docs = []
+    for text, name in FULL:
+        for width in (0, 60, 76):
+            body = text if not width else "\n\n".join(textwrap.fill(x, width, break_on_hyphens=False) for x in text.split("\n\n"))
+            docs += [(name, body), (name, "Some words before.\n\n" + body + "\n\nand after"), (name, "/*\n" + "\n".join(f" * {x}".rstrip() for x in body.split("\n")) + "\n */")]
+    got = licenses.scan(spark.createDataFrame(docs, "want string, text string"), "want", "text").collect()
+    assert len(got) == len(docs)
+    for r in got:
+        assert list(r.licenses) == [r.want] and r.n_unknown <= r.text.count("Copyright (c)"), r
+    words = ["This is not licensed under the MIT license", "licensed under the MIT\nlicense", "Licensed under the\n\nMIT license"]
+    assert [list(r.licenses) for r in licenses.scan(spark.createDataFrame([(i, x) for i, x in enumerate(words)], "i int, text string"), "i").orderBy("i").collect()] == [[], ["MIT"], ["MIT"]]
