@@ -27,6 +27,14 @@ def word_count(text: Column) -> Column:
     return F.size(words(text)).cast("long")
 
 
+def unused(name: str, *frames: DataFrame) -> str:
+    """``name``, with underscores before it for as long as one of the frames has a column of that name."""
+    taken = {c.lower() for df in frames for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
 def checkpoint_folder(spark: SparkSession) -> str:
     """The shared folder for intermediate tables; a temporary one stands in where the session names none, as in tests."""
     sc = spark.sparkContext

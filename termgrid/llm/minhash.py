@@ -10,15 +10,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..shipping import shipped
-from .common import broadcast_below, checkpointed, components
+from .common import broadcast_below, checkpointed, components, unused
 from .shingles import list_array, mixed, shingle_sets
 
 #: Smallest hashes kept for a document; chance that a similar pair falls below the sketch filter.
 SKETCH, MISS = 32, 1e-9
 #: Lists of at most so many members are compared member by member; larger ones through leaders.
 SMALL_LIST = 12
-#: Documents of a part of a block comparison, shared shingles that are compared at once.
-BLOCK, COLUMNS = 512, 4096
+#: Documents and shingles of a part of a block comparison; values held by more documents of a block are compared as a
+#: matrix, so many at once.
+BLOCK, BLOCK_VALUES, DENSE, COLUMNS = 2048, 1 << 19, 16, 2048
 #: Largest table of ids that is broadcast.
 ID_ROWS = 1_000_000
 
@@ -111,46 +112,97 @@ def links(docs: DataFrame, reps: DataFrame, width: int, percent: int, k: int) ->
     found = checkpointed(_estimated(pairs.unionByName(star).distinct(), reps, need, k, percent))
     edges = checkpointed(_confirmed(found, docs, width, percent))
     linked = checkpointed(components(edges, "a", "b"))
-    # lists that are not one component yet: their documents are compared in blocks
+    # lists that are not one component yet: their documents are looked at with whole sets
     of = many.select("v", "id").join(linked.select(F.col("node").alias("id"), "component"), "id", "left").select("v", "id", F.coalesce("component", "id").alias("comp"))
-    split = of.groupBy("v").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("id").alias("head")).where("lo <> hi").select("v", "head")
-    rest = checkpointed(of.join(split, "v").select("id", "head", "comp").distinct())
+    rest = checkpointed(_split_lists(of).select("id", "comp").distinct())
     if rest.isEmpty():
         return linked
-    groups = checkpointed(components(rest.select(F.col("id").alias("src"), F.col("head").alias("dst"))))
-    rows = rest.select("id", "comp").distinct().join(groups.select(F.col("node").alias("id"), F.col("component").alias("cluster")), "id")
-    parts = rows.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
-    rows = rows.join(parts, "cluster").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
-    blocks = rows.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("cluster", F.least("part", "with").alias("lo"), F.greatest("part", "with").alias("hi"), "part", "id", "comp")
-    sets = full_sets(docs.join(broadcast_below(checkpointed(rest.select(F.col("id").alias("doc_id")).distinct()), ID_ROWS), "doc_id", "left_semi"), width)
-    dealt = blocks.join(sets, "id").repartition("cluster", "lo", "hi").sortWithinPartitions("cluster", "lo", "hi")
-    more = dealt.select("cluster", "lo", "hi", "part", "id", "comp", "members").mapInArrow(_blocks(percent), "a long, b long")
+    sets = full_sets(docs.join(broadcast_below(rest.select(F.col("id").alias("doc_id")), ID_ROWS), "doc_id", "left_semi"), width)
+    sets = checkpointed(sets.select("id", "members").distinct().select("id", "members", F.size("members").alias("n")))
+    whole = lambda s: inverted_lists(s.select("id", F.col("members").alias("sketch")), percent, 100)
+    # far more documents share a passage than can have a partner: the others' values no longer count in the second round
+    hopeful = broadcast_below(checkpointed(whole(sets).select("id").distinct()), ID_ROWS)
+    left = _split_lists(whole(sets.join(hopeful, "id", "left_semi")).select("v", "id").join(rest, "id"))
+    left = checkpointed(left.select("id", "comp", "head").distinct())
+    groups = checkpointed(components(left.select(F.col("id").alias("src"), F.col("head").alias("dst"))))
+    if groups.isEmpty():
+        return linked
+    rows = sets.join(rest, "id").join(groups.select(F.col("node").alias("id"), F.col("component").alias("cluster")), "id")
+    dealt = _dealt(rows, percent).repartition("cluster", "lo", "hi").sortWithinPartitions("cluster", "lo", "hi")
+    more = dealt.select("cluster", "lo", "hi", "own", "id", "comp", "members").mapInArrow(_blocks(percent), "a long, b long")
     return checkpointed(components(edges.unionByName(more), "a", "b"))
 
 
+def _split_lists(lists: DataFrame) -> DataFrame:
+    """Rows ``(v, id, comp)`` of the lists that hold several components, with the list's smallest id as its ``head``."""
+    several = lists.groupBy("v").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("id").alias("head")).where("lo <> hi").select("v", "head")
+    return lists.join(several, "v")
+
+
+def _dealt(rows: DataFrame, percent: int) -> DataFrame:
+    """Rows ``(cluster, id, comp, n, members)`` dealt to blocks ``(lo, hi)`` of two parts each; ``own`` is a row's part.
+
+    Sizes fall into bands so wide that linked sets are in one band or in neighbouring ones, and a band into parts of a
+    bounded number of documents and shingles. A part meets the parts of its own band and of the bands beside it only.
+    """
+    band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / percent * 1.0001))).cast("long")
+    rows = checkpointed(rows.withColumn("band", band))
+    parts = rows.groupBy("cluster", "band").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") / BLOCK_VALUES)).cast("long").alias("parts"))
+    parts = broadcast_below(checkpointed(parts), ID_ROWS)
+    near = lambda by, name: parts.select(F.col("cluster"), (F.col("band") + by).alias("band"), F.col("parts").alias(name))
+    rows = rows.join(near(0, "own_parts"), ["cluster", "band"])
+    for by, name in ((1, "below"), (-1, "above")):
+        rows = rows.join(near(by, name), ["cluster", "band"], "left")
+    code = lambda band, part: F.shiftleft(band, 32) + part
+    every = lambda band, n: F.when(F.coalesce(n, F.lit(0)) > 0, F.transform(F.sequence(F.lit(0).cast("long"), n - 1), lambda p: code(band, p))).otherwise(F.array().cast("array<bigint>"))
+    own = code(F.col("band"), F.pmod(F.xxhash64("id"), F.col("own_parts")))
+    beside = F.concat(every(F.col("band"), F.col("own_parts")), every(F.col("band") - 1, F.col("below")), every(F.col("band") + 1, F.col("above")))
+    rows = rows.withColumn("own", own).withColumn("with", F.explode(beside))
+    return rows.select("cluster", F.least("own", "with").alias("lo"), F.greatest("own", "with").alias("hi"), "own", "id", "comp", "members")
+
+
+def _common(owner: np.ndarray, value: np.ndarray, left: np.ndarray, right: np.ndarray, n: int) -> np.ndarray:
+    """Shared values of each row of ``left`` with each of ``right``: frequent values by matrix products, rare ones pair by pair."""
+    _, value, held = np.unique(value, return_inverse=True, return_counts=True)
+    order = np.argsort(value, kind="stable")
+    owner, value = owner[order], value[order]
+    dense = held[value] > DENSE
+    common = np.zeros((len(left), len(right)), np.float32)
+    at_left, at_right = np.full(n, -1), np.full(n, -1)
+    at_left[left], at_right[right] = np.arange(len(left)), np.arange(len(right))
+    column = (np.cumsum(held > DENSE) - 1)[value[dense]]
+    who = owner[dense]
+    for v in range(0, int(column[-1]) + 1 if len(column) else 0, COLUMNS):
+        a, b = np.searchsorted(column, (v, v + COLUMNS))
+        has = np.zeros((n, COLUMNS), np.float32)
+        has[who[a:b], column[a:b] - v] = 1
+        common += has[left] @ has[right].T
+    who, column = owner[~dense], value[~dense]
+    flat = common.reshape(-1)
+    for step in range(DENSE):
+        # neighbours at each distance among the holders of one value, in both orders
+        a = np.flatnonzero(column[: len(column) - step] == column[step:])
+        for x, y in ((who[a], who[a + step]), (who[a + step], who[a])) if step else ((who[a], who[a]),):
+            x, y = at_left[x], at_right[y]
+            both = (x >= 0) & (y >= 0)
+            if both.any():
+                cell, times = np.unique(x[both] * len(right) + y[both], return_counts=True)
+                flat[cell] += times
+    return common
+
+
 def _blocks(percent: int):
     """Links between documents of different components, for rows sorted by block: a spanning forest for each block."""
 
     def forest(t: pa.Table) -> pa.RecordBatch:
         n = len(t)
-        ids, comp, part, lo, hi = (t[c].to_numpy() for c in ("id", "comp", "part", "lo", "hi"))
-        left, right = np.flatnonzero(part == lo[0]), np.flatnonzero(part == hi[0])
+        ids, comp, own, lo, hi = (t[c].to_numpy() for c in ("id", "comp", "own", "lo", "hi"))
+        left, right = np.flatnonzero(own == lo[0]), np.flatnonzero(own == hi[0])
         label = np.arange(n)
-        if len(np.unique(comp)) > 1:
+        if len(left) and len(right) and len(np.unique(comp)) > 1:
             members = t["members"].combine_chunks()
             sizes = np.diff(members.offsets.to_numpy())
-            owner = np.repeat(np.arange(n), sizes)
-            _, value, held = np.unique(members.flatten().to_numpy(), return_inverse=True, return_counts=True)
-            shared = held[value] > 1
-            owner, value = owner[shared], (np.cumsum(held > 1) - 1)[value[shared]]
-            order = np.argsort(value, kind="stable")
-            owner, value = owner[order], value[order]
-            common = np.zeros((len(left), len(right)), np.float32)
-            for v in range(0, int(value[-1]) + 1 if len(value) else 0, COLUMNS):
-                a, b = np.searchsorted(value, (v, v + COLUMNS))
-                has = np.zeros((n, COLUMNS), np.float32)
-                has[owner[a:b], value[a:b] - v] = 1
-                common += has[left] @ has[right].T
+            common = _common(np.repeat(np.arange(n), sizes), members.flatten().to_numpy(), left, right, n)
             union = sizes[left][:, None] + sizes[right][None, :] - common
             r, c = np.nonzero((100 * common >= percent * union) & (comp[left][:, None] != comp[right][None, :]))
             r, c = left[r], right[c]
@@ -189,9 +241,10 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, k: int =
 
     Documents with equal sets form a class; a class is compared through its smallest id. Candidates share retained values
     (``inverted_lists``), are filtered by the similarity estimated from the sketch of the union, and are confirmed on the
-    full sets. A long list is not paired out: its leader is compared with all members, and only documents of lists that
-    are then still in several components are compared in blocks of full sets, which return a spanning forest. So no link
-    between components is lost but with the chance ``MISS`` of the sketch filter, and rows stay in proportion to documents.
+    full sets. A long list is not paired out: its leader is compared with all members. Documents of lists that are then
+    still in several components are listed again by their whole sets, where those that share too little with all others
+    fall out, and what is left is compared in blocks of similar size, which return a spanning forest. So no link between
+    components is lost but with the chance ``MISS`` of the sketch filter, and rows stay in proportion to documents.
 
     Texts that are null or without words have the size 0 and are alone. Rows with one ``doc_id`` form one node. Rows with
     a null ``doc_id`` link with nothing: their component and ``kept`` are null. Other columns don't matter.
@@ -212,5 +265,6 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, k: int =
 
 def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """``docs`` less all but the first document of each group of near duplicates; null ids stay, repeated rows once."""
-    judged = near_duplicates(docs, width, percent).where("not kept").select(F.col("doc_id").alias("near_key")).distinct()
-    return docs.join(judged, F.col("doc_id") == F.col("near_key"), "left_anti")
+    key = unused("near_key", docs)
+    judged = near_duplicates(docs, width, percent).where("not kept").select(F.col("doc_id").alias(key)).distinct()
+    return docs.join(judged, F.col("doc_id") == F.col(key), "left_anti")
