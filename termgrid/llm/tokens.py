@@ -46,7 +46,8 @@ class Encoder:
     Both kinds of tokenizer cut a text where white space follows other characters before they merge, so the ids of a text
     are those of its pieces, each with its leading white space, in a row; equal pieces are encoded once. They cut between
     letters and signs, too, so a word can go to the tokenizer's model without the passes over texts before it; a tokenizer
-    that gives other ids for a few probes gets whole pieces only.
+    that gives other ids for a few probes gets whole pieces only. The ids are those of the plain library call, strings like
+    ``<|endoftext|>`` included.
     """
 
     def __init__(self, path: str):
@@ -54,7 +55,7 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.added = tuple({t.content[:2] for t in self.tokenizer.get_added_tokens_decoder().values()})
         self.model = self.tokenizer.model
         self.signs = _byte_signs()
         self.folds = self._whole(" \u00c9Zyq") == self._whole("\n\u00e9zyq") == self._whole("\u00e9zyq")
@@ -105,7 +106,8 @@ class Encoder:
             last.old = {}
             self.pieces = Pieces(self._ids, last)
         get = self.pieces.__getitem__
-        return [b"".join(map(get, self._cut(t or ""))) for t in texts]
+        # strings of added tokens are one id wherever they stand, so texts that may hold one go to the library whole
+        return [self._whole(t) if t and any(a in t for a in self.added) else b"".join(map(get, self._cut(t or ""))) for t in texts]
 
 
 def encoder(path: str) -> Encoder:
