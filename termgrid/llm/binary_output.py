@@ -19,6 +19,8 @@ from .tokens import encoder, in_pieces
 #: Ids after which a shard is closed, bits for each key on a level of the index, most levels.
 SHARD_IDS, GAMMA, LEVELS = 1 << 20, 2, 40
 SHARD_ROWS = 2_000_000
+#: Steps of the key range in which keys meet shards, groups that share the keys asked of one shard, folders named in a filter.
+STEPS, GROUPS, MOST_PARTS = 1 << 16, 16, 10_000
 
 # A shard is one row of a Parquet table, so that any store Spark can reach will do: ``ids`` holds the ids of its documents
 # as little-endian unsigned 32-bit integers, one document after the other, ``ends`` the id count up to the end of each
@@ -124,7 +126,7 @@ def write(docs: DataFrame, tokenizer: str, end: int, path: str) -> None:
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.monotonically_increasing_id().alias("place"))
     ordered = shipped(rows).repartitionByRange("doc_id", "place").sortWithinPartitions("doc_id", "place").select("doc_id", "text")
-    ordered.mapInArrow(run, SCHEMA).write.mode("errorifexists").option("compression", "zstd").parquet(path)
+    ordered.mapInArrow(run, SCHEMA).write.mode("errorifexists").option("compression", "zstd").partitionBy("part").parquet(path)
 
 
 def _index(batch: pa.RecordBatch, i: int) -> tuple[Index, np.ndarray, np.ndarray, np.ndarray, memoryview]:
@@ -155,7 +157,7 @@ def read_digests(spark: SparkSession, path: str) -> DataFrame:
                 n = len(keys)
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(np.full(n, batch.column("part")[i].as_py(), np.int32)), pa.array(np.full(n, batch.column("seq")[i].as_py(), np.int32)), pa.array(starts), pa.array(ends[rows] - starts), pa.array(crc, pa.int64())], ["doc_id", "part", "seq", "start", "n_tokens", "ids_crc32"])
 
-    shards = spark.read.parquet(path)
+    shards = _shards(spark, path)
     found = shipped(shards).mapInArrow(run, "doc_id long, part int, seq int, start long, n_tokens long, ids_crc32 long")
     # ids before a shard: those of the parts before, then those of its part
     sizes = shards.select("part", "seq", "n_ids")
@@ -165,16 +167,49 @@ def read_digests(spark: SparkSession, path: str) -> DataFrame:
     return found.join(broadcast_below(base, SHARD_ROWS), ["part", "seq"]).select("doc_id", (F.col("start") + F.col("base")).alias("start"), "n_tokens", "ids_crc32")
 
 
+def _by_directory(wanted: DataFrame, directory: DataFrame) -> DataFrame:
+    """``(part, seq, doc_id)`` of the shards whose range holds a key, by binary search in the directory."""
+    rows = sorted((r.part, r.seq, r.first_key, r.last_key) for r in directory.collect())
+    sent = wanted.sparkSession.sparkContext.broadcast(np.array(rows, np.int64).reshape(-1, 4))
+
+    def run(batches):
+        part, seq, first, last = sent.value.T
+        for batch in batches:
+            keys = batch.column(0).to_numpy()
+            a, b = np.searchsorted(last, keys, "left"), np.searchsorted(first, keys, "right")
+            n = np.maximum(b - a, 0)
+            # an id of many rows may lie in several shards, one after the other
+            at = np.repeat(a, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            yield pa.RecordBatch.from_arrays([pa.array(part[at].astype(np.int32)), pa.array(seq[at].astype(np.int32)), pa.array(np.repeat(keys, n))], ["part", "seq", "doc_id"])
+
+    return shipped(wanted).mapInArrow(run, "part int, seq int, doc_id long")
+
+
+def _by_steps(wanted: DataFrame, directory: DataFrame) -> DataFrame:
+    """The same by a join: keys and shards meet in equal steps of the key range."""
+    ends = directory.agg(F.min("first_key").alias("lo"), F.max("last_key").alias("hi")).first()
+    lo, hi = (0, 0) if ends.lo is None else (ends.lo, ends.hi)
+    step = -(-(hi - lo + 1) // STEPS)
+    at = lambda c: F.floor((F.col(c).cast("decimal(20,0)") - F.lit(lo).cast("decimal(20,0)")) / F.lit(step).cast("decimal(20,0)")).cast("long")
+    cells = directory.withColumn("cell", F.explode(F.sequence(at("first_key"), at("last_key"))))
+    placed = wanted.where(F.col("doc_id").between(lo, hi)).withColumn("cell", at("doc_id")).join(cells, "cell")
+    return placed.where(F.col("doc_id").between(F.col("first_key"), F.col("last_key"))).select("part", "seq", "doc_id")
+
+
 def lookup(spark: SparkSession, path: str, keys: DataFrame) -> DataFrame:
-    """``doc_id, ids`` (array of long) for each document whose id is in ``keys``; unknown keys give no row.
+    """``doc_id, ids`` (array of long) and ``ids_crc32`` for each document whose id is in ``keys``; unknown keys give no row.
 
-    Keys go to the shards whose range holds them, and only those shards are opened. A key between the keys of a shard is
-    refused by the fingerprint, but for one in 2**32.
+    The directory (one row a shard; sent to all up to ``SHARD_ROWS``, else joined) tells the shards of a key; their
+    folders alone are read, as ``part`` is a partition of the table. In a shard the index gives the place of a key in a
+    fixed number of probes; a key that it lacks is refused by the fingerprint, but for one in 2**32. Keys of one shard are
+    dealt to ``GROUPS`` lists; a list holds no more keys than its shard has documents, as ids are distinct. Null keys find nothing.
     """
-    shards = spark.read.parquet(path)
-    directory = broadcast_below(shards.where("first_key is not null").select("part", "seq", "first_key", "last_key"), SHARD_ROWS)
+    shards = _shards(spark, path)
+    directory = shards.where("first_key is not null").select("part", "seq", "first_key", "last_key")
     wanted = keys.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct()
-    asked = wanted.join(directory, F.col("doc_id").between(F.col("first_key"), F.col("last_key"))).groupBy("part", "seq").agg(F.collect_list("doc_id").alias("asked"))
+    few = directory.limit(SHARD_ROWS + 1).count() <= SHARD_ROWS
+    placed = _by_directory(wanted, directory) if few else _by_steps(wanted, directory)
+    asked = placed.groupBy("part", "seq", F.pmod(F.xxhash64("doc_id"), F.lit(GROUPS)).alias("group")).agg(F.collect_list("doc_id").alias("asked"))
 
     def run(batches):
         for batch in batches:
@@ -184,10 +219,17 @@ def lookup(spark: SparkSession, path: str, keys: DataFrame) -> DataFrame:
                 slot = index.find(asked)
                 asked, slot = asked[slot >= 0], slot[slot >= 0]
                 rows = [(k, d) for k, s in zip(asked.tolist(), slot.tolist()) for d in range(firsts[s], firsts[s] + repeats[s])]
-                values = [np.frombuffer(ids[4 * (int(ends[d - 1]) if d else 0) : 4 * int(ends[d])], "<u4").astype(np.int64) for _, d in rows]
-                yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.int64()), pa.array(values, pa.list_(pa.int64()))], ["doc_id", "ids"])
+                raw = [ids[4 * (int(ends[d - 1]) if d else 0) : 4 * int(ends[d])] for _, d in rows]
+                values = [np.frombuffer(x, "<u4").astype(np.int64) for x in raw]
+                yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.int64()), pa.array(values, pa.list_(pa.int64())), pa.array([zlib.crc32(x) for x in raw], pa.int64())], ["doc_id", "ids", "ids_crc32"])
+
+    parts = [r.part for r in asked.select("part").distinct().limit(MOST_PARTS + 1).collect()]
+    some = shards.where(F.col("part").isin(parts)) if len(parts) <= MOST_PARTS else shards
+    return shipped(some.join(asked, ["part", "seq"])).mapInArrow(run, "doc_id long, ids array<long>, ids_crc32 long")
+
 
-    return shipped(shards.join(asked, ["part", "seq"])).mapInArrow(run, "doc_id long, ids array<long>")
+def _shards(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema(SCHEMA).parquet(path)
 
 
 def fresh_path(spark: SparkSession) -> str:
