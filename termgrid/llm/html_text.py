@@ -13,10 +13,14 @@ from pyspark.sql import functions as F
 
 from ..shipping import shipped
 
-#: Elements whose text is never shown, elements that start a block, elements without an end.
-HIDDEN = frozenset("script style noscript template head title iframe object svg math canvas textarea select option datalist audio video map".split())
+#: Elements whose text is never shown (with markup inside, or raw up to their end tag), elements that start a
+#: block, elements without an end.
+HIDDEN = frozenset("template object svg math canvas select option optgroup datalist audio video".split())
+RAW = frozenset("script style noscript title iframe textarea xmp noembed noframes".split())
 BLOCKS = frozenset("html body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul caption".split())
 EMPTY = frozenset("area base br col embed hr img input link meta param source track wbr".split())
+#: Hidden elements that the start of a block ends, as blocks can't stand in them.
+NO_BLOCKS = frozenset("svg math select option optgroup datalist".split())
 #: Elements closed by the start of the elements named.
 CLOSED_BY = {"p": BLOCKS, "li": frozenset(["li"]), "dd": frozenset(["dd", "dt"]), "dt": frozenset(["dd", "dt"]), "tr": frozenset(["tr", "tbody", "tfoot"]), "td": frozenset(["td", "th", "tr"]), "th": frozenset(["td", "th", "tr"])}
 #: Words of names and roles, and elements, that speak against or for content.
@@ -29,16 +33,56 @@ _NAMES = re.compile(r"(?:^|\s)(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|
 NEXT_TO, SAME_PARENT, FAR = 1.2, 2.0, 0.15
 
 
-def blocks(page: str) -> list[tuple[str, int, tuple[tuple[int, str, str], ...]]]:
-    """Text blocks in page order: decoded text, its characters within links, the elements around it as (number, name, names)."""
-    out, stack, number = [], [], 0
-    text, linked = [], 0
+class Place:
+    """An open block element: its parent, its depth, and what the elements from the root down to it say of their content."""
+
+    __slots__ = ("above", "article", "depth", "lean", "name")
+
+    def __init__(self, above: Place | None, name: str, names: str):
+        self.above, self.name = above, name
+        self.depth = above.depth + 1 if above else 0
+        self.article = bool(above and above.article) or name == "article"
+        self.lean = above.lean if above else 0.0
+        if name in AGAINST_TAG:
+            # a header inside an article may hold its title
+            self.lean -= 3.0 if name == "header" and above and above.article else 9.0
+        if name in ("article", "main"):
+            self.lean += 3.5
+        if names:
+            # names at the root speak of the layout, not of the block
+            if name not in ("body", "html") and AGAINST.search(names):
+                self.lean -= 8.0
+            elif FOR.search(names):
+                self.lean += 1.2
+
+
+def _end_tag(name: str) -> re.Pattern:
+    if name not in _END:
+        _END[name] = re.compile(f"</{name}(?![a-z0-9:-])[^>]*(?:>|$)", re.I | re.A)
+    return _END[name]
+
+
+_END: dict[str, re.Pattern] = {}
+
+
+def blocks(page: str) -> list[tuple[str, int, Place | None]]:
+    """Text blocks in page order: decoded text, its characters within links, the block element around it.
+
+    Every open element is left once, so the time grows with the length of the page, not with its depth.
+    """
+    out: list[tuple[str, int, Place | None]] = []
+    #: open elements as (name, place if a block else None); how many of each name; open hidden elements
+    stack: list[tuple[str, Place | None]] = []
+    count: dict[str, int] = {}
+    places: list[Place] = []
+    ends: dict[str, int] = {}
+    text, linked, hidden = [], 0, 0
 
     def close() -> None:
         nonlocal linked
         joined = " ".join("".join(text).split())
         if joined:
-            out.append((joined, linked, tuple(x for x in stack if x[1] in BLOCKS)))
+            out.append((joined, linked, places[-1] if places else None))
         text.clear()
         linked = 0
 
@@ -47,19 +91,28 @@ def blocks(page: str) -> list[tuple[str, int, tuple[tuple[int, str, str], ...]]]
         if raw and not hidden:
             decoded = entities.unescape(raw)
             text.append(decoded)
-            if any(x[1] == "a" for x in stack):
+            if count.get("a"):
                 linked += len(decoded.strip())
 
-    hidden, at, low = "", 0, None
-    n = len(page)
+    def pop() -> None:
+        nonlocal hidden
+        name, place = stack[-1]
+        if place is not None:
+            close()
+            places.pop()
+        hidden -= name in HIDDEN
+        count[name] -= 1
+        stack.pop()
+
+    def end_after(name: str, at: int) -> int:
+        """Where the next end tag of the name starts, -1 if there is none; each stretch of the page is searched once a name."""
+        if ends.get(name, 0) != -1 and ends.get(name, 0) <= at:
+            m = _end_tag(name).search(page, at)
+            ends[name] = m.start() + 1 if m else -1
+        return ends[name] - 1 if ends[name] != -1 else -1
+
+    at, n = 0, len(page)
     while at < n:
-        if hidden:
-            # hidden text ends at its own end tag only
-            low = page.lower() if low is None else low
-            end = low.find(f"</{hidden}", at)
-            at = n if end < 0 else (low.find(">", end) + 1 or n)
-            hidden = ""
-            continue
         m = _TOKEN.search(page, at)
         if m is None:
             add(page[at:])
@@ -67,75 +120,89 @@ def blocks(page: str) -> list[tuple[str, int, tuple[tuple[int, str, str], ...]]]
         add(page[at : m.start()])
         at = max(m.end(), at + 1)
         if not m[2]:
-            if m[0].startswith("<![CDATA["):
+            if m[0].startswith("<![CDATA[") and not hidden:
                 text.append(m[0][9:].removesuffix("]]>"))
             continue
         name = m[2].lower()
         if name == "br":
-            text.append(" ")
+            if not hidden:
+                text.append(" ")
             continue
         if m[1]:
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][1] == name:
-                    if any(x[1] in BLOCKS for x in stack[k:]):
-                        close()
-                    del stack[k:]
+            if count.get(name):
+                k = len(stack) - 1
+                while stack[k][0] != name and (name in BLOCKS or name in HIDDEN or stack[k][1] is None):
+                    k -= 1
+                if stack[k][0] == name:  # an inline end doesn't cross a block
+                    while len(stack) > k:
+                        pop()
+            continue
+        if name in RAW:
+            if not m[3].endswith("/") or name in ("script", "style"):
+                end = end_after(name, at)
+                if end >= 0:
+                    at = _end_tag(name).match(page, end).end()
+                elif name in ("script", "style"):
                     break
-                if name not in BLOCKS and stack[k][1] in BLOCKS:
-                    break  # an inline end doesn't cross a block
             continue
         if name in HIDDEN:
-            if name not in ("head", "map", "svg", "math", "audio", "video", "select", "object"):
-                hidden = name if not m[3].endswith("/") else ""
+            if m[3].endswith("/"):
                 continue
+            if name in ("option", "optgroup") and count.get("option"):
+                while stack[-1][0] != "option":
+                    pop()
+                pop()
+            # hidden elements without an end would hide the rest of the page
+            if name in NO_BLOCKS or end_after(name, at) >= 0:
+                stack.append((name, None))
+                count[name] = count.get(name, 0) + 1
+                hidden += 1
+            continue
         if name in BLOCKS:
+            while hidden and stack[-1][0] in NO_BLOCKS:
+                pop()
+            if hidden:
+                continue
             close()
-            while stack and (stack[-1][1] not in BLOCKS or name in CLOSED_BY.get(stack[-1][1], ())):
-                stack.pop()
-        if name in EMPTY or m[3].endswith("/"):
+            while stack and (stack[-1][1] is None or name in CLOSED_BY.get(stack[-1][0], ())):
+                pop()
+        if name in EMPTY or m[3].endswith("/") or hidden:
             continue
-        number += 1
-        stack.append((number, name, " ".join("".join(x) for x in _NAMES.findall(m[3])).lower()))
+        place = None
+        if name in BLOCKS:
+            place = Place(places[-1] if places else None, name, " ".join("".join(x) for x in _NAMES.findall(m[3])).lower())
+            places.append(place)
+        stack.append((name, place))
+        count[name] = count.get(name, 0) + 1
     close()
     return out
 
 
-def leaning(text: str, linked: int, around: tuple) -> float:
+def leaning(text: str, linked: int, place: Place | None) -> float:
     """Log-odds that a block is content: a linear classifier of its words, sentences, links and the elements around it."""
     words = text.count(" ") + 1
     score = -0.6 + 0.9 * math.log1p(min(words, 80)) / math.log(10) + (0.7 if text[-1] in ".!?:…\"”»" else -0.3)
     score -= 4.0 * min(1.0, linked / max(1, len(text)))
-    for _, name, names in around:
-        if name in AGAINST_TAG:
-            # a header inside an article may hold its title
-            score -= 3.0 if name == "header" and any(x[1] == "article" for x in around) else 9.0
-        if name in ("article", "main"):
-            score += 3.5
-        if names:
-            # names at the root speak of the layout, not of the block
-            if name not in ("body", "html") and AGAINST.search(names):
-                score -= 8.0
-            elif FOR.search(names):
-                score += 1.2
-    if around and around[-1][1] in ("h1", "h2", "h3", "h4", "h5", "h6"):
-        score += 0.8
-    if around and around[-1][1] in ("p", "pre", "blockquote", "figcaption"):
-        score += 0.8
-    if around and around[-1][1] in ("li", "td", "th", "dt"):
-        score -= 0.5
+    if place is not None:
+        score += place.lean
+        if place.name in ("h1", "h2", "h3", "h4", "h5", "h6", "p", "pre", "blockquote", "figcaption"):
+            score += 0.8
+        if place.name in ("li", "td", "th", "dt"):
+            score -= 0.5
     if re.match(r"(©|\(c\)|copyright\b|all rights reserved)", text, re.I):
         score -= 2.0
     return score
 
 
-def smoothness(a: tuple, b: tuple) -> float:
+def smoothness(a: Place | None, b: Place | None) -> float:
     """Strength of the tie between two blocks: whole for children of one element, weaker with each element between."""
-    shared = 0
-    for x, y in zip(a, b):
-        if x[0] != y[0]:
-            break
-        shared += 1
-    apart = max(len(a), len(b)) - shared
+    depth = lambda x: x.depth + 1 if x else 0
+    apart = 0
+    while a is not b and apart <= 3:
+        # the deeper one goes up, both if equal, so ``apart`` is the distance of the deeper block from what they share
+        x, y = depth(a), depth(b)
+        a, b = a.above if x >= y else a, b.above if y >= x else b
+        apart += 1
     return SAME_PARENT if apart <= 1 else NEXT_TO / (apart - 1) if apart <= 3 else FAR
 
 
@@ -205,8 +272,8 @@ def main_text(page: str | None) -> str:
     scores = [leaning(*b) for b in found]
     ties = [(i, i + 1, smoothness(found[i][2], found[i + 1][2])) for i in range(len(found) - 1)]
     last: dict[int, int] = {}
-    for i, (_, _, around) in enumerate(found):
-        holder = around[-2][0] if len(around) > 1 else 0
+    for i, (_, _, place) in enumerate(found):
+        holder = id(place.above) if place is not None and place.above is not None else 0
         if holder in last and last[holder] < i - 1:
             ties.append((last[holder], i, SAME_PARENT / 2))
         last[holder] = i
