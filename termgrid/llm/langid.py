@@ -118,15 +118,16 @@ def _frequencies(batches):
 
 def _features(batches):
     for batch in batches:
-        rows = [(lang, found) for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if (found := grams(text)) is not None]
-        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1][0].astype("<i4").tobytes() for r in rows], pa.binary()), pa.array([r[1][1].astype("<i4").tobytes() for r in rows], pa.binary())], ["lang", "buckets", "counts"])
+        rows = [(lang, found, key) for lang, text, key in zip(*(c.to_pylist() for c in batch.columns), strict=True) if (found := grams(text)) is not None]
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1][0].astype("<i4").tobytes() for r in rows], pa.binary()), pa.array([r[1][1].astype("<i4").tobytes() for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.int64())], ["lang", "buckets", "counts", "key"])
 
 
 def train(docs: DataFrame, sample: int = SAMPLE) -> Model:
     """A model from the rows of ``docs`` that have a language and a text.
 
     Document frequencies and languages are counted over all of them. The classifier is fitted on the driver on at most
-    about ``sample`` rows: each language gives an equal share, or all it has, chosen by a hash of the id.
+    about ``sample`` rows: each language gives an equal share, or all it has, chosen by a hash of the id. No more than
+    twice that reach the driver, the first by a hash of id and text.
     """
     rows = docs.where("lang is not null and text is not null").select("doc_id", "lang", "text")
     sizes = {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # one row for each language
@@ -141,8 +142,8 @@ def train(docs: DataFrame, sample: int = SAMPLE) -> Model:
     share = max(8, sample // len(langs))
     draw = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) / F.lit(float(1 << 30))
     rate = F.create_map(*[F.lit(v) for lang in langs for v in (lang, min(1.0, share / sizes[lang]))])
-    picked = rows.where(draw < rate[F.col("lang")]).select("lang", "text").mapInArrow(_features, "lang string, buckets binary, counts binary")
-    found = sorted((r.lang, bytes(r.buckets), bytes(r.counts)) for r in picked.limit(2 * sample + 8 * len(langs)).collect())
+    picked = rows.where(draw < rate[F.col("lang")]).select("lang", "text", F.xxhash64("doc_id", "text").alias("key")).mapInArrow(_features, "lang string, buckets binary, counts binary, key long")
+    found = sorted((r.lang, bytes(r.buckets), bytes(r.counts)) for r in picked.orderBy("key", "lang").limit(2 * sample + 8 * len(langs)).collect())
     order = np.random.default_rng(3).permutation(len(found))
     data = [(found[k][0], (np.frombuffer(found[k][1], "<i4").astype(np.int64), np.frombuffer(found[k][2], "<i4").astype(np.int64))) for k in order]
     return fit(langs, idf, data) if data else Model([], idf)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import broadcast_below, checkpointed, word_count
+from .common import broadcast_below, checkpointed, unused, word_count
 
 WEIGHTS = (5, 2, 1)
 BUDGET = 1.5
@@ -54,7 +54,7 @@ def mix(docs: DataFrame, size: Column | None = None, weights=WEIGHTS, budget: fl
     the target lies is sampled by the hash's other bits. A source so misses its target by less than one bucket (or one
     document, where a bucket holds one). Null sources form a source of their own; a null ``doc_id`` draws like an empty
     one; null, empty and blank texts have size 0 and are repeated like others of their source; repeated rows share one
-    decision. Columns of ``docs`` stay; those called ``mix_*`` are replaced.
+    decision. All columns of ``docs`` stay as they are; ``mix_names`` tells the names of the new ones.
     """
     size = word_count(F.col("text")) if size is None else size
     draw = _draw(F.col("doc_id"), seed)
@@ -68,26 +68,33 @@ def mix(docs: DataFrame, size: Column | None = None, weights=WEIGHTS, budget: fl
         .where((F.col("before") <= F.col("more")) & (F.col("more") < F.col("before") + F.col("size")))
         .select("s", F.col("bucket").alias("end_bucket"), ((F.col("more") - F.col("before")) / F.col("size")).alias("end_share"))
     )
+    names = mix_names(docs)
+    key, whole, end_bucket, end_share = (unused(c, docs) for c in ("mix_key", "mix_whole", "mix_end_bucket", "mix_end_share"))
     plan = checkpointed(
         goals.join(ends, F.col("source").eqNullSafe(F.col("s")), "left")
-        .select(F.col("source").alias("mix_key"), F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"), "whole", F.coalesce("end_bucket", F.lit(0)).alias("end_bucket"), F.coalesce("end_share", F.lit(0.0)).alias("end_share"))
+        .select(F.col("source").alias(key), F.col("source_size").alias(names["source_size"]), F.col("target").alias(names["target"]), F.col("whole").alias(whole), F.coalesce("end_bucket", F.lit(0)).alias(end_bucket), F.coalesce("end_share", F.lit(0.0)).alias(end_share))
     )
     bucket, fine = F.floor(draw / FINE), (draw % FINE) / F.lit(float(FINE))
-    extra = (bucket < F.col("end_bucket")) | ((bucket == F.col("end_bucket")) & (fine < F.col("end_share")))
-    out = (
-        docs.withColumn("mix_size", size)
-        .join(broadcast_below(plan, SOURCE_ROWS), F.col("source").eqNullSafe(F.col("mix_key")))
-        .withColumn("mix_repeats", F.col("whole") + extra.cast("long"))
-        .withColumn("mix_taken", F.col("mix_repeats") * F.col("mix_size"))
+    extra = (bucket < F.col(end_bucket)) | ((bucket == F.col(end_bucket)) & (fine < F.col(end_share)))
+    return (
+        docs.withColumn(names["size"], size)
+        .join(broadcast_below(plan, SOURCE_ROWS), F.col("source").eqNullSafe(F.col(key)))
+        .withColumn(names["repeats"], F.col(whole) + extra.cast("long"))
+        .withColumn(names["taken"], F.col(names["repeats"]) * F.col(names["size"]))
+        .select(*docs.columns, *names.values())
     )
-    kept = [c for c in docs.columns if not c.startswith("mix_")]
-    return out.select(*[docs[c] for c in kept], "mix_size", "mix_source_size", "mix_target", "mix_repeats", "mix_taken")
+
+
+def mix_names(docs: DataFrame) -> dict[str, str]:
+    """Names of the columns that ``mix`` adds: ``mix_*``, with underscores before them where ``docs`` has such a column."""
+    return {c: unused(f"mix_{c}", docs) for c in ("size", "source_size", "target", "repeats", "taken")}
 
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: each row of ``docs`` as often as it is taken, with the columns of ``docs``."""
-    out = mix(docs, **options).where("mix_repeats > 0")
-    return out.withColumn("mix_repeat", F.explode(F.sequence(F.lit(1), F.col("mix_repeats").cast("int")))).select(*[F.col(c) for c in docs.columns])
+    """The mix itself: each row of ``docs`` as often as it is taken, with the columns of ``docs``, whatever their names."""
+    repeats, turn = mix_names(docs)["repeats"], unused("mix_turn", docs)
+    out = mix(docs, **options).where(F.col(repeats) > 0)
+    return out.withColumn(turn, F.explode(F.sequence(F.lit(1), F.col(repeats).cast("int")))).select(*docs.columns)
 
 
 #: DuckDB twin of the query.
