@@ -5,12 +5,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE_RUN, SPACES, checkpointed, words
+from .common import SPACES, broadcast_below, checkpointed, words
 
 #: Most good documents of a stratum that all rules together may reject, and the chance that the guarantee fails.
 FALSE_REJECTION, FAILURE = 0.05, 0.05
 #: One labelled document in so many helps to choose joint cutoffs; the others certify them.
 CHOOSING = 3
+#: Largest table of strata that is broadcast.
+STRATA = 1_000_000
 #: Candidate cutoffs in thousandths, the same for each rule.
 CUTOFFS = (20, 50, 80, 120, 160, 200, 250, 300, 350, 400, 450, 500, 600, 700, 800, 900)
 #: Scores in thousandths; a document is rejected by a rule if its score is above the cutoff.
@@ -90,24 +92,6 @@ def _tallies(labelled: DataFrame) -> DataFrame:
 
 
 def cutoffs(scored: DataFrame, labels: DataFrame, risk: float = FALSE_REJECTION) -> DataFrame:
-    """``(stratum, rule, cutoff)`` of the certified cutoffs in use.
-
-    ``scored``: doc_id, stratum and a column for each rule. For each stratum, rule and candidate cutoff the labelled
-    documents that pass the base rules give n good ones and k good ones rejected. A cutoff is certified if the exact
-    binomial bound holds at the level divided by all tests (strata * rules * cutoffs); the risk is shared by the rules.
-    Of the certified ones that with the most bad less good rejections is used, the mildest among equals, none if there is
-    no gain. Strata with too few labels have no certified cutoff and reject nothing. A document labelled twice counts as
-    bad if one label says so; labels without quality and labels of unknown documents don't count.
-    """
-    known = labels.where("quality is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
-    sums = _tallies(scored.join(known, "doc_id"))
-    strata = sums.agg(F.countDistinct(F.coalesce(F.concat(F.lit("="), F.col("stratum")), F.lit("-"))).alias("strata"))
-    cells = sums.crossJoin(F.broadcast(strata)).select("stratum", "rule", "n", (F.col("strata") * len(RULES) * len(CUTOFFS)).alias("tests"), F.explode(F.array(*[F.struct(F.lit(c).alias("cutoff"), F.col(f"b{c}").alias("bad"), F.col(f"g{c}").alias("k")) for c in CUTOFFS])).alias("c")).select("stratum", "rule", "n", "tests", "c.*")
-    good = cells.where(F.col("bad") > F.col("k")).where(_certified(F.col("n"), F.col("k"), risk / len(RULES), F.col("tests")))
-    return good.groupBy("stratum", "rule").agg(F.max(F.struct(F.col("bad") - F.col("k"), "cutoff")).getField("cutoff").alias("cutoff"))
-
-
-def joint_cutoffs(scored: DataFrame, labels: DataFrame, risk: float = FALSE_REJECTION) -> DataFrame:
     """``(stratum, rule, cutoff)`` of cutoffs that are certified together, at the full risk.
 
     A third of the labelled documents, by a hash of their id, chooses: for each stratum and rule the cutoff with the most
@@ -116,9 +100,12 @@ def joint_cutoffs(scored: DataFrame, labels: DataFrame, risk: float = FALSE_REJE
     second, and so on, each time all good documents that any of the rules so far rejects. The first set that fails the
     exact bound ends the sequence, so each test of a stratum has the whole level, divided by the strata alone. With s strata
     ln(FAILURE / s) / ln(1 - risk) good documents are needed to certify, 86 for 4 strata: about 129 labelled in all.
+    Strata with fewer have no cutoff and reject nothing. The guarantee is about documents that pass the base rules: what
+    those reject is outside it. A document labelled twice counts as bad if one label says so; labels without quality and
+    labels of unknown documents don't count.
     """
     known = labels.where("quality is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
-    rows = checkpointed(scored.join(known, "doc_id").select("stratum", "quality", (F.pmod(F.xxhash64("doc_id"), F.lit(CHOOSING)) == 0).alias("chooses"), *RULES))
+    rows = checkpointed(scored.join(known, "doc_id").select("stratum", "quality", (F.conv(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 8), 16, 10).cast("long") % CHOOSING == 0).alias("chooses"), *RULES))
     cells = _tallies(rows.where("chooses")).select("stratum", "rule", "n", F.explode(F.array(*[F.struct(F.lit(c).alias("cutoff"), F.col(f"b{c}").alias("bad"), F.col(f"g{c}").alias("k")) for c in CUTOFFS])).alias("c")).select("stratum", "rule", "n", "c.*")
     best = cells.where((F.col("bad") > F.col("k")) & (2 * F.col("k") <= risk * F.col("n"))).groupBy("stratum", "rule").agg(F.max(F.struct((F.col("bad") - F.col("k")).alias("gain"), "cutoff")).alias("x"))
     steps = best.groupBy(F.col("stratum").alias("of")).agg(F.sort_array(F.collect_list(F.struct((-F.col("x.gain")).alias("less"), "rule", F.col("x.cutoff").alias("cutoff")))).alias("steps"))
@@ -135,18 +122,18 @@ def joint_cutoffs(scored: DataFrame, labels: DataFrame, risk: float = FALSE_REJE
     return out.select("stratum", "s.rule", "s.cutoff")
 
 
-def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", keep: tuple[str, ...] = (), choose=cutoffs) -> DataFrame:
-    """``doc_id`` and ``keep`` of every row with the base counts, ``base_failed`` and ``kept``, by the cutoffs of ``choose``.
+def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", keep: tuple[str, ...] = ()) -> DataFrame:
+    """``doc_id`` and ``keep`` of every row with the base counts, ``base_failed`` and ``kept``, by the certified cutoffs.
 
     Rows keep their number, repeated ones too. Null and empty texts have no words and fail the base rules. A null stratum
     is a stratum. Empty tables give no rows; without labels only the base rules reject. Other columns don't matter.
     """
     named = docs.select("doc_id", "text", F.col(stratum).alias("stratum"), *keep)
     scored = checkpointed(features(named, "text", "doc_id", "stratum", *keep).withColumns({r: F.expr(f"cast(floor({e}) as long)") for r, e in RULES.items()}))
-    chosen = choose(scored.where(~F.col("base_failed")), labels).groupBy("stratum").pivot("rule", list(RULES)).agg(F.first("cutoff"))
+    chosen = cutoffs(scored.where(~F.col("base_failed")), labels).groupBy("stratum").pivot("rule", list(RULES)).agg(F.first("cutoff"))
     chosen = checkpointed(chosen.select(F.col("stratum").alias("of"), *[F.col(r).alias(f"max_{r}") for r in RULES]))
     # one row for each stratum that has a cutoff
-    out = scored.join(chosen, F.col("stratum").eqNullSafe(F.col("of")), "left")
+    out = scored.join(broadcast_below(chosen, STRATA), F.col("stratum").eqNullSafe(F.col("of")), "left")
     over = F.greatest(*[F.coalesce((F.col(r) > F.col(f"max_{r}")).cast("int"), F.lit(0)) for r in RULES]) == 1
     return out.withColumn("kept", ~F.col("base_failed") & ~over).drop("of", *[f"max_{r}" for r in RULES])
 
@@ -156,7 +143,13 @@ def _sql() -> str:
     scores = ", ".join(f"cast(floor({e}) as bigint) as {r}" for r, e in RULES.items())
     long = " union all ".join(f"select doc_id, stratum, '{r}' as rule, {r} as score from p where not base_failed" for r in RULES)
     grid = ", ".join(f"({c})" for c in CUTOFFS)
-    risk = FALSE_REJECTION / len(RULES)
+    risk = FALSE_REJECTION
+    at = lambda i: f"count(*) filter (step <= {i})"
+    tail = lambda k: f"{k} < n * {risk} and (select sum(exp(lgamma(n + 1) - lgamma(j + 1) - lgamma(n - j + 1) + j * ln({risk}) + (n - j) * ln(1 - {risk}))) from (select unnest(range(0, {k}::bigint + 1)) as j)) <= {FAILURE} / strata"
+    held, passed = "0", "true"
+    for i in range(1, len(RULES) + 1):
+        passed += f" and {tail(f'k{i}')}"
+        held += f" + ({passed})::int"
     return rf"""
 with t as (select doc_id, lang, coalesce(text, '') as text from documents),
 w as (select *, regexp_extract_all(text, '[^\x20\x09-\x0D]+') as ws, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) as ls from t),
@@ -169,12 +162,16 @@ f as (select w.doc_id, lang as stratum, len(ws)::bigint as n_words, length(array
 p as (select *, n_words < 50 or 100 * n_repeat_words > 50 * n_words as base_failed, {scores} from f),
 s as ({long}),
 y as (select doc_id, min(quality) as quality from labels where quality is not null group by doc_id),
+z as (select s.*, y.quality, ('0x' || substr(md5(s.doc_id::varchar), 1, 8))::bigint % {CHOOSING} = 0 as chooses from s join y using (doc_id)),
 c as (select stratum, rule, cutoff, sum((quality = 1)::int) as n, sum((quality = 1 and score > cutoff)::int) as k, sum((quality = 0 and score > cutoff)::int) as bad
-  from s join y using (doc_id), (values {grid}) v(cutoff) group by all),
-ts as (select count(distinct coalesce('=' || stratum, '-')) * {len(RULES) * len(CUTOFFS)} as tests from c),
-ok as (select c.* from c, ts where bad > k and k < n * {risk} and
-  (select sum(exp(lgamma(n + 1) - lgamma(j + 1) - lgamma(n - j + 1) + j * ln({risk}) + (n - j) * ln(1 - {risk}))) from (select unnest(range(0, k::bigint + 1)) as j)) <= {FAILURE} / tests),
-best as (select stratum, rule, arg_max(cutoff, (bad - k) * 10000 + cutoff) as cutoff from ok group by all),
+  from z, (values {grid}) v(cutoff) where chooses group by all),
+pick as (select stratum, rule, max(bad - k) as gain, arg_max(cutoff, (bad - k) * 10000 + cutoff) as cutoff from c where bad > k and 2 * k <= {risk} * n group by all),
+steps as (select *, row_number() over (partition by stratum order by gain desc, rule) as step from pick),
+hit as (select z.doc_id, z.stratum, min(case when z.score > t.cutoff then t.step end) as step from z join steps t on z.stratum is not distinct from t.stratum and z.rule = t.rule where not chooses and quality = 1 group by all),
+ns as (select count(distinct coalesce('=' || stratum, '-')) as strata from z),
+tally as (select stratum, strata, count(*) as n, {', '.join(f'{at(i)} as k{i}' for i in range(1, len(RULES) + 1))} from hit, ns group by all),
+held as (select stratum, {held} as held from tally),
+best as (select t.* from steps t join held h on t.stratum is not distinct from h.stratum where t.step <= h.held),
 r as (select distinct s.doc_id from s join best on s.stratum is not distinct from best.stratum and s.rule = best.rule where s.score > best.cutoff)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and doc_id not in (select doc_id from r) as kept from p
 """

@@ -22,6 +22,16 @@ def op2_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return binary_output.read_digests(spark, path)
 
 
+def token_shard_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keyed access to the shards of ``op2_token_shards``: every document whose id is divisible by 20, by its key."""
+    import public_tokenizers
+
+    docs, path = table(spark, sf_dir, "documents"), binary_output.fresh_path(spark)
+    binary_output.write(docs, public_tokenizers.path("word_bpe_49k.json"), 2, path)
+    found = binary_output.lookup(spark, path, docs.select("doc_id").where("doc_id % 20 = 0"))
+    return found.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), "ids_crc32")
+
+
 def op3_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_dedup.near_duplicate_vectors(table(spark, sf_dir, "embeddings"))
 
@@ -44,32 +54,14 @@ def op7_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract(table(spark, sf_dir, "pages"))
 
 
-def _quality_rules(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
-    out = quality.judge(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), table(spark, sf_dir, "labels"), **how)
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
-
-
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _quality_rules(spark, sf_dir)
-
-
-def op8_quality_rules_joint(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The rules of ``op8_quality_rules`` with cutoffs certified together, as in the pipeline."""
-    return _quality_rules(spark, sf_dir, choose=quality.joint_cutoffs)
-
-
-def _line_dedup(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
-    out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents").select("doc_id", "text"), **how)
-    return out.select("doc_id", F.col("tpl_lines").alias("n_lines"), F.col("tpl_dropped").alias("n_dropped"), F.length("text").cast("long").alias("n_chars_left"), F.md5("text").alias("text_md5"))
+    out = quality.judge(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), table(spark, sf_dir, "labels"))
+    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _line_dedup(spark, sf_dir)
-
-
-def op9_line_dedup_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The lines of ``op9_line_dedup`` and passages from their second document on, as in the pipeline."""
-    return _line_dedup(spark, sf_dir, passage_docs=line_dedup.PASSAGE_DOCS)
+    out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", F.col("tpl_lines").alias("n_lines"), F.col("tpl_dropped").alias("n_dropped"), F.length("text").cast("long").alias("n_chars_left"), F.md5("text").alias("text_md5"))
 
 
 def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -80,15 +72,14 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_mix_sources": op1_mix_sources,
     "op2_token_shards": op2_token_shards,
+    "token_shard_lookup": token_shard_lookup,
     "op3_vector_dedup": op3_vector_dedup,
     "op4_minhash_dedup": op4_minhash_dedup,
     "op5_language_id": op5_language_id,
     "op6_best_fit_packing": op6_best_fit_packing,
     "op7_html_main_text": op7_html_main_text,
     "op8_quality_rules": op8_quality_rules,
-    "op8_quality_rules_joint": op8_quality_rules_joint,
     "op9_line_dedup": op9_line_dedup,
-    "op9_line_dedup_passages": op9_line_dedup_passages,
     "op10_license_scan": op10_license_scan,
 }
 ORACLES = {"op1_mix_sources": mixing.SQL, "op8_quality_rules": quality.SQL, "op9_line_dedup": line_dedup.SQL, "op10_license_scan": licenses.SQL}

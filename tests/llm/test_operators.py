@@ -63,7 +63,9 @@ def test_mix_water_filling(spark):
 
 def test_mix_odd_rows(odd, empty):
     got = mixing.mix(odd)
-    assert got.count() == odd.count() and set(odd.columns) - {"mix_size"} <= set(got.columns)
+    assert got.count() == odd.count() and got.columns == [*odd.columns, "_mix_size", "mix_source_size", "mix_target", "mix_repeats", "mix_taken"]
+    assert {r.mix_size for r in got.collect()} == {"7"}
+    got = got.drop("mix_size").withColumnRenamed("_mix_size", "mix_size")
     assert all(r.mix_taken <= 2 * r.mix_size for r in got.collect())
     assert rows(got, "doc_id", "mix_taken") == rows(mixing.mix(odd), "doc_id", "mix_taken")
     assert mixing.mix(empty).count() == 0 and mixing.mixed_documents(odd).columns == odd.columns
@@ -82,11 +84,10 @@ def _ids(name, texts, end):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(tokenizers.path(name))
-    t.encode_special_tokens = True
     return [np.array([*e.ids, end], "<u4") for e in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
 
 
-TRICKY = ["", None, " ", "a  b", "a\n b", "a \nb", "x\t \ty", "it's don't 'll", "A.B, c.. d,, e.", "<|endoftext|> <|startoftext|>", "é́ Σας ΟΔΟΣ", "a  b c", "\0 \0x", "1,000. 2.", "trailing ", "\n\nlead", "日本語。 です", "\x1c a\x1db \x85c", "ß. ŉ. ǰ,", "İ. aİ, ab\nİ.", "Über... señor*** \nÉté$$$ ẞ, ſſ. ΣΑΣ, ﬁn. été, n't's! x²y, Ⅷ. ª."]
+TRICKY = ["", None, " ", "a  b", "a\n b", "a \nb", "x\t \ty", "it's don't 'll", "A.B, c.. d,, e.", "<|endoftext|> <|startoftext|>", "a<|endoftext|>b <|END <|endoftext|> ", "é́ Σας ΟΔΟΣ", "a  b c", "\0 \0x", "1,000. 2.", "trailing ", "\n\nlead", "日本語。 です", "\x1c a\x1db \x85c", "ß. ŉ. ǰ,", "İ. aİ, ab\nİ.", "Über... señor*** \nÉté$$$ ẞ, ſſ. ΣΑΣ, ﬁn. été, n't's! x²y, Ⅷ. ª."]
 
 
 @pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
@@ -109,10 +110,27 @@ def test_token_shards(spark, odd, empty, tmp_path, monkeypatch):
     assert [r.doc_id for r in got] == [None, *sorted(d.doc_id for d in docs if d.doc_id is not None)]
     found = binary_output.lookup(spark, path, spark.createDataFrame([(2,), (8,), (99,), (None,)], "doc_id long"))
     assert sorted((r.doc_id, len(r.ids)) for r in found.collect()) == sorted((d, n) for d, n, _ in want.elements() if d in (2, 8))
+    monkeypatch.setattr(binary_output, "SHARD_ROWS", 0)  # the directory is joined instead of sent
+    again = binary_output.lookup(spark, path, spark.createDataFrame([(2,), (8,), (99,), (None,), (-(2**63),), (2**63 - 1,)], "doc_id long"))
+    assert sorted((r.doc_id, r.ids_crc32) for r in again.collect()) == sorted((r.doc_id, r.ids_crc32) for r in found.collect())
     binary_output.write(empty, tok, 2, path + "-empty")
+    assert binary_output.lookup(spark, path + "-empty", spark.createDataFrame([(2,)], "doc_id long")).count() == 0
     assert binary_output.read_digests(spark, path + "-empty").count() == 0
 
 
+def test_lookup_reads_the_folders_asked_for_only(spark, tmp_path):
+    path = str(tmp_path / "many")
+    docs = spark.range(400).select(F.col("id").alias("doc_id"), F.concat(F.lit("text of "), F.col("id")).alias("text"))
+    binary_output.write(docs, tokenizers.path("word_bpe_49k.json"), 2, path)
+    found = binary_output.lookup(spark, path, docs.where("doc_id = 7"))
+    assert [r.doc_id for r in found.collect()] == [7]
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert re.search(r"PartitionFilters: \[[^]]*part", plan), plan
+    got = sorted(tuple(r) for r in QUERIES["token_shard_lookup"](spark, SF).collect())
+    want = sorted((r.doc_id, r.n_tokens, r.ids_crc32) for r in QUERIES["op2_token_shards"](spark, SF).where("doc_id % 20 = 0").collect())
+    assert got == want
+
+
 def test_index_is_minimal_and_refuses_strangers():
     keys = np.random.default_rng(1).permutation(50_000)[:5000].astype(np.int64)
     index, slots = binary_output.Index.build(keys)
@@ -308,6 +326,24 @@ def test_main_text():
         html_text.main_text(broken)
 
 
+def test_main_text_of_awkward_pages():
+    body = lambda inner: f"<article><p>The first paragraph is long enough to be kept.</p>{inner}<p>The last one is long enough to be kept, too.</p></article>"
+    want = "The first paragraph is long enough to be kept.\n\nThe last one is long enough to be kept, too."
+    for inner in ("<select><option>One<option>Two", "<svg><text>drawn</text></svg>", "<object>fallback</object>", "<video>", "<option>stray", "<SCRIPT>x</Script >", "<textarea>typed</textarea>", "<iframe>", "<title>x</title>", "<select><optgroup><option>a<optgroup><option>b</select>"):
+        assert html_text.main_text(body(inner)) == want, inner
+    # lower case may be longer than the page: İ has two characters in it
+    assert html_text.main_text(body("<p>" + "İ" * 12 + " stands in this paragraph.</p><script>x</script>")) == want.replace("\n\n", "\n\n" + "İ" * 12 + " stands in this paragraph.\n\n")
+    import time
+
+    def seconds(n):
+        began = time.process_time()
+        html_text.main_text("<div>" * n + "<p>Words in a deep place.</p></div>" * n)
+        return time.process_time() - began
+
+    seconds(500)
+    assert seconds(16_000) < 40 * seconds(1000) + 1
+
+
 def test_pages_odd_rows(spark):
     df = spark.createDataFrame([(1, None, None, "x"), (None, "u", PAGE, None), (2, "v", "", "t"), (2, "v", "", "t")], "page_id long, url string, html string, text string")
     got = html_text.extract(df)
@@ -342,7 +378,7 @@ def test_certified_bound_is_the_exact_tail(spark):
         assert got[(n, k)] == (k < 0.02 * n and tail <= quality.FAILURE / 100), (n, k)
 
 
-def test_joint_cutoffs_serve_small_strata(spark):
+def _labelled():
     docs, labels = [], []
     for k, (lang, good) in enumerate([("de", 400), ("fr", 400), (None, 400), ("rare", 60)]):
         for i in range(good + 40):
@@ -350,15 +386,34 @@ def test_joint_cutoffs_serve_small_strata(spark):
             text = " ".join(f"w{j}{' #' if bad and j % 4 == 0 else ''}" for j in range(60)) + (" !!" * 30 if lang == "fr" and i % 9 == 0 else "")
             docs.append((k * 1000 + i, text, lang))
             labels.append((k * 1000 + i, int(not bad)))
+    return docs, labels
+
+
+def test_certified_cutoffs_reject_bad_documents_only(spark):
+    docs, labels = _labelled()
     df, known = spark.createDataFrame(docs, "doc_id long, text string, lang string"), spark.createDataFrame(labels, "doc_id long, quality int")
     quality_of, lang_of = dict(labels), {d: x for d, _, x in docs}
-    out = {}
-    for choose in (quality.cutoffs, quality.joint_cutoffs):
-        gone = Counter((lang_of[r.doc_id], quality_of[r.doc_id]) for r in quality.judge(df, known, choose=choose).where("not kept").collect())
-        out[choose.__name__] = gone
-    assert not out["cutoffs"]
-    # 60 good ones certify nothing; no good document has symbols
-    assert out["joint_cutoffs"] == {("de", 0): 40, ("fr", 0): 40, (None, 0): 40}
+    gone = Counter((lang_of[r.doc_id], quality_of[r.doc_id]) for r in quality.judge(df, known).where("not kept").collect())
+    # 60 good ones certify nothing; no good document has symbols; the third that chooses may miss the few odd bad ones of fr
+    assert set(gone) == {("de", 0), ("fr", 0), (None, 0)} and gone["de", 0] == gone[None, 0] == 40 and gone["fr", 0] >= 35
+
+
+def test_certified_cutoffs_equal_sql(spark):
+    import duckdb
+    import pandas as pd
+
+    docs, labels = _labelled()
+    # a few good documents with symbols: rejected by a cutoff that may still hold
+    docs = [(d, t + " # # # #" if d % 97 == 5 else t, x) for d, t, x in docs]
+    df, known = spark.createDataFrame(docs, "doc_id long, text string, lang string"), spark.createDataFrame(labels, "doc_id long, quality int")
+    got = {(r.doc_id, r.kept) for r in quality.judge(df, known).collect()}
+    con = duckdb.connect()
+    con.register("documents", pd.DataFrame(docs, columns=["doc_id", "text", "lang"]))
+    con.register("labels", pd.DataFrame(labels, columns=["doc_id", "quality"]))
+    rel = con.sql(ORACLES["op8_quality_rules"])
+    at = rel.columns.index("doc_id"), rel.columns.index("kept")
+    assert got == {(r[at[0]], r[at[1]]) for r in rel.fetchall()}
+    assert 100 < sum(not kept for _, kept in got) < 200
 
 
 # ---- 9 lines, 10 licences --------------------------------------------------------------------------------------------
@@ -375,6 +430,54 @@ def test_lines_of_one_template(spark):
     assert all(r.tpl_dropped == 0 for r in few.collect())
 
 
+def test_short_lines_with_a_name(spark):
+    names = "Anna Bert Cleo Dora Emil Fritz".split()
+    df = spark.createDataFrame([(i, f"Posted by {n} in the travel section\nwords of {n} {n} {n} alone") for i, n in enumerate(names)], "doc_id long, text string")
+    got = {r.doc_id: r.text for r in line_dedup.drop_repeated_lines(df).collect()}
+    assert all(got[i] == (f"words of {n} {n} {n} alone" if i else df.first().text) for i, n in enumerate(names))
+    assert all(r.tpl_dropped == 0 for r in line_dedup.drop_repeated_lines(df.where("doc_id < 4")).collect())
+
+
+def test_lines_against_brute_force(spark):
+    rng = np.random.default_rng(6)
+    base = [[f"{chr(97 + i)}{chr(97 + n)}" for i in range(n)] for n in range(17)]
+
+    def line_of(n):
+        w = list(base[n])
+        for k in rng.integers(0, max(n, 1), int(rng.integers(0, 3))):
+            if n:
+                w[k] = str(rng.choice(["x", "y", "z", "7", "8a"]))
+        return " ".join(w)
+
+    docs = [(int(i % 28), "\n".join(line_of(n) for n in rng.integers(0, 17, 8))) for i in range(30)]
+    docs += [(i, "1 2 3 4 a\n" + f"{i} {i + 1} {i + 2} b") for i in range(40, 47)]
+    got = rows(line_dedup.drop_repeated_lines(spark.createDataFrame(docs, "doc_id long, text string")), "doc_id", "text")
+
+    def templates(line):
+        w = ["<*>" if re.search("[0-9]", x) else x for x in line.split()]
+        n = len(w)
+        w = line.split() if 2 * w.count("<*>") > n else w
+        if n < 5:
+            return {(n, *w)}
+        if n < 12:
+            return {(i, *w[:i], None, *w[i + 1 :]) for i in range(2, n)}
+        step = -(-(n - 3) // 4)
+        return {(n, p, *w[: 3 + p * step], None, *w[3 + (p + 1) * step :]) for p in range(4)}
+
+    where = defaultdict(set)
+    for d, t in docs:
+        for line in t.split("\n"):
+            for x in templates(line) if line.strip() else ():
+                where[x].add(d)
+    gone = defaultdict(set)
+    for d, t in docs:
+        for k, line in enumerate(t.split("\n")):
+            if line.strip() and any(len(where[x]) >= 5 and min(where[x]) < d for x in templates(line)):
+                gone[d].add(k)
+    want = sorted(((d, "\n".join(x for k, x in enumerate(t.split("\n")) if k not in gone[d])) for d, t in docs), key=repr)
+    assert got == want and any(gone.values())
+
+
 def test_passages_go_from_their_second_document_on(spark):
     from corpus_pipeline import drop_lines
 
@@ -385,13 +488,13 @@ def test_passages_go_from_their_second_document_on(spark):
     got = {r.doc_id: r.text for r in drop_lines(spark, df, SF).collect()}
     # 51 words are a passage, whole or with one part of its own; 50 words are a line
     assert got == {d: t.split("\n")[0] if d in (1, 2) else t for d, t in docs}
-    assert all(r.tpl_dropped == 0 for r in line_dedup.drop_repeated_lines(df).collect())
 
 
 def test_lines_odd_rows(odd, empty):
     got = line_dedup.drop_repeated_lines(odd)
-    assert got.count() == odd.count() and "tpl_key" not in got.columns
-    assert all(r.tpl_dropped == 0 for r in got.collect())
+    assert got.count() == odd.count() and got.columns == [*odd.columns, "tpl_lines", "tpl_dropped"]
+    # texts of one long line are passages, here of documents 1 and 6
+    assert sorted((r.doc_id for r in got.collect() if r.tpl_dropped)) == [2, 2, 7]
     assert line_dedup.drop_repeated_lines(empty).count() == 0
 
 
