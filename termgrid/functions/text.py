@@ -55,5 +55,12 @@ def keyword_mask(terms: Column, keywords: Sequence[str]) -> Column:
 
 
 def term_counts(terms: Column) -> Column:
-    """A bag as a map of counts."""
-    return F.map_from_entries(F.transform(F.array_distinct(terms), lambda t: F.struct(t, F.size(F.filter(terms, lambda u: u == t)).cast("long"))))
+    """A bag as a map of counts: terms are sorted, and each run of equal ones counts, n log n in the length of the bag."""
+    def counted(s: Column) -> Column:
+        starts = F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda i: (i == 0) | (F.get(s, i) != F.get(s, i - 1)))
+        runs = lambda b: F.map_from_arrays(F.transform(b, lambda i: F.get(s, i)), F.transform(b, lambda i, k: (F.coalesce(F.get(b, k + 1), F.size(s)) - i).cast("long")))
+        return F.get(F.transform(F.array(starts), runs), F.lit(0))
+
+    # arrays of one element bind the sorted bag and the starts, so that lambdas index values
+    bag = F.get(F.transform(F.array(F.array_sort(terms)), counted), F.lit(0))
+    return F.when(F.size(terms) > 0, bag).otherwise(F.create_map().cast("map<string,bigint>"))

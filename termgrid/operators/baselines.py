@@ -8,8 +8,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import without
-from .frequency import star_frequencies
-from .volumes import Leaf, Star
+from .cells import cell_frequencies
+from .volumes import Star
 
 
 def full_join(star: Star, hint: str | None = None) -> DataFrame:
@@ -36,9 +36,8 @@ def binary_cascade(star: Star, drop: Sequence[str] = ()) -> DataFrame:
 
 
 def two_scans(star: Star, drop: Sequence[str] = ()) -> DataFrame:
-    """The counting method of one machine: one task scans for statistics and again for frequencies."""
-    alone = Star(star.root.coalesce(1), star.keys, [Leaf(x.rows.coalesce(1), x.unique, x.name) for x in star.leaves], star.wide)
-    return star_frequencies(alone, drop)
+    """The counting method of one machine: one task scans the leaves for their numbers, then the facts, then the leaves' texts."""
+    return cell_frequencies(star, [1] * len(star.leaves), drop=drop, prune=False)
 
 
 def precomputed(star: Star, path: str, drop: Sequence[str] = ()) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .frequency import sum_terms
-from .volumes import Star, leaf_rows, product
+from .volumes import Star, leaf_rows, num_array, product
 
 # ---- shares and cost -------------------------------------------------------------------------------------------------
 
@@ -139,11 +139,12 @@ def slot_map(cells: dict[int, int]) -> Column:
 
 
 def grid_frequencies(star: Star, shares: Sequence[int], slots: dict[int, int] | None = None, kind: str = "xxhash", prune: bool = True, dedupe: bool = True, drop: Sequence[str] = ()) -> DataFrame:
-    """``(term, freq)`` counted in the slots of a grid.
+    """``(term, freq)`` with the slots of a grid as a further join key.
 
-    Facts go to the slot of their cell; leaf rows are counted by key, then the counts and the texts are copied to the slots
-    of their slice, once for each slot if ``dedupe``. ``prune`` sends no copy to cells without facts. Sums over slots are
-    the answer, as every fact is in one slot.
+    Facts get the slot of their cell; the numbers of leaf keys are copied to the slots of their slice, once for each slot if
+    ``dedupe``, and meet the facts there by ordinary joins on (slot, key). ``prune`` sends no copy to cells without facts.
+    The parts of a volume are summed over slots before the leaf texts meet them, by one join without slots: texts are never
+    copied. ``cells.cell_frequencies`` counts inside the slots instead.
     """
     from ..functions.text import without
 
@@ -152,14 +153,13 @@ def grid_frequencies(star: Star, shares: Sequence[int], slots: dict[int, int] |
     place = slot_map(slots)
     facts = star.root.select(*star.keys, "terms", fact_cell(star.keys, shares, kind).alias("cell"))
     occupied = facts.select("cell").distinct()
-    # dealt by slot once; the joins on (slot, key) and the sums below stay in the slot
     probe = facts.withColumn("slot", place[F.col("cell")])
     if dedupe is False:
         probe = probe.withColumn("slot", F.col("cell"))
     number = star.number()
     nums = []
     for i, (key, leaf) in enumerate(zip(star.keys, star.leaves), 1):
-        copies = leaf.rows.where("key is not null").groupBy("key").agg(F.count("*").cast(number).alias(f"num_{i}"))
+        copies = num_array(leaf, number).withColumnRenamed("num", f"num_{i}")
         copies = copies.select(F.explode(leaf_cells(F.col("key"), i - 1, shares, kind)).alias("cell"), "key", f"num_{i}")
         if prune:
             copies = copies.join(occupied, "cell", "left_semi")

@@ -39,15 +39,17 @@ def product(columns: Sequence[Column], kind: str = "bigint") -> Column:
 
 
 def combine_leaf(leaf: Leaf) -> DataFrame:
-    """``(key, num, terms)``: rows of one key merged to one bag with their number; unique keys are left as they are."""
-    if leaf.unique:
-        return leaf.rows.select("key", F.lit(1).cast("bigint").alias("num"), "terms").where("key is not null")
-    return leaf.rows.where("key is not null").groupBy("key").agg(F.count("*").alias("num"), F.flatten(F.collect_list("terms")).alias("terms"))
+    """``(key, term, n)``: rows of one key merged to one bag of counts; the term null holds the number of its rows.
+
+    A hot key's bag is many rows, each a partial sum in every task: no row grows with the number of its tuples.
+    """
+    return combine_fact(leaf.rows.where("key is not null"), ["key"])
 
 
 def combine_fact(root: DataFrame, keys: Sequence[str]) -> DataFrame:
-    """``(keys, m, terms)``: root rows of equal keys merged with their number."""
-    return root.groupBy(*keys).agg(F.count("*").alias("m"), F.flatten(F.collect_list("terms")).alias("terms"))
+    """``(keys, term, n)``: root rows of equal keys merged to counts of their terms; the term null holds their number."""
+    words = F.explode(F.concat("terms", F.array(F.lit(None).cast("string"))))
+    return root.select(*keys, words.alias("term")).groupBy(*keys, "term").agg(F.count("*").alias("n"))
 
 
 def num_array(leaf: Leaf, kind: str = "bigint") -> DataFrame:

@@ -65,47 +65,23 @@ def copies_sql(shares) -> str:
 
 # ---- the triangle ----------------------------------------------------------------------------------------------------
 
-_R = "select distinct l_partkey as a, l_suppkey as b from lineitem where l_orderkey % 10 = 0"
-_S = "select distinct l_suppkey as b, l_orderkey as c from lineitem where l_partkey % 10 = 1"
-_T = "select distinct l_partkey as a, l_orderkey as c from lineitem where l_suppkey % 2 = 0"
-
-
 def triangle(db: Database) -> tuple[DataFrame, DataFrame, DataFrame]:
-    x = db.table("lineitem")
-    pair = lambda cond, p, q: x.where(cond).select(F.col(p[0]).alias(p[1]), F.col(q[0]).alias(q[1])).distinct()
-    return pair("l_orderkey % 10 = 0", ("l_partkey", "a"), ("l_suppkey", "b")), pair("l_partkey % 10 = 1", ("l_suppkey", "b"), ("l_orderkey", "c")), pair("l_suppkey % 2 = 0", ("l_partkey", "a"), ("l_orderkey", "c"))
-
-
-@query(f"select a, b, c from ({_R}) r join ({_S}) s using (b) join ({_T}) t using (a, c)")
-def triangle_grid_join(db):
-    return grid.grid_triangle_join(*triangle(db), [2, 2, 2])
-
-
-@query(f"select a::int as a, b::int as b, c::int as c, (r * c + s * a + t * b)::bigint as cost from (select count(*) as r from ({_R}) x) x, (select count(*) as s from ({_S}) y) y, (select count(*) as t from ({_T}) z) z, (values (1, 1, 8), (1, 2, 4), (2, 2, 2), (4, 2, 1), (8, 1, 1)) v(a, b, c)")
-def triangle_cost_table(db):
-    r, s, t = triangle(db)
-    n = r.agg(F.count("*").alias("r")).crossJoin(s.agg(F.count("*").alias("s"))).crossJoin(t.agg(F.count("*").alias("t")))
-    v = db.spark.createDataFrame([(1, 1, 8), (1, 2, 4), (2, 2, 2), (4, 2, 1), (8, 1, 1)], "a int, b int, c int")
-    return n.crossJoin(v).select("a", "b", "c", (F.col("r") * F.col("c") + F.col("s") * F.col("a") + F.col("t") * F.col("b")).alias("cost"))
-
-
-def whole_triangle(db: Database) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The pairs of part and supplier, supplier and order, part and order of all line items."""
     pairs = db.table("lineitem").select(F.col("l_partkey").alias("a"), F.col("l_suppkey").alias("b"), F.col("l_orderkey").alias("c"))
     return tuple(pairs.select(*p).where(f"{p[0]} is not null and {p[1]} is not null").distinct() for p in ("ab", "bc", "ac"))
 
 
 @query("with l as (select l_partkey as a, l_suppkey as b, l_orderkey as c from lineitem) select a, b, c from (select distinct a, c from l) t join (select distinct b, c from l) s using (c) join (select distinct a, b from l) r using (a, b)")
-def triangle_grid_join_whole(db):
+def triangle_grid_join(db):
     # orders have few suppliers, suppliers many parts: the join over orders comes first, so the roles of a and c are turned
-    r, s, t = whole_triangle(db)
+    r, s, t = triangle(db)
     turned = grid.grid_triangle_join(t.select(F.col("a"), F.col("c").alias("b")), s.select(F.col("c").alias("b"), F.col("b").alias("c")), r.select("a", F.col("b").alias("c")), [2, 2, 2])
     return turned.select("a", F.col("c").alias("b"), F.col("b").alias("c"))
 
 
 @query("with l as (select l_partkey as a, l_suppkey as b, l_orderkey as c from lineitem), n as (select (select count(*) from (select distinct a, b from l where a is not null and b is not null) x) as r, (select count(*) from (select distinct b, c from l where b is not null and c is not null) y) as s, (select count(*) from (select distinct a, c from l where a is not null and c is not null) z) as t) select v.a::int as a, v.b::int as b, v.c::int as c, (n.r * v.c + n.s * v.a + n.t * v.b)::bigint as cost from n, (values (1, 1, 8), (1, 2, 4), (2, 2, 2), (4, 2, 1), (8, 1, 1)) v(a, b, c)")
-def triangle_cost_table_whole(db):
-    r, s, t = whole_triangle(db)
+def triangle_cost_table(db):
+    r, s, t = triangle(db)
     n = r.agg(F.count("*").alias("r")).crossJoin(s.agg(F.count("*").alias("s"))).crossJoin(t.agg(F.count("*").alias("t")))
     v = db.spark.createDataFrame([(1, 1, 8), (1, 2, 4), (2, 2, 2), (4, 2, 1), (8, 1, 1)], "a int, b int, c int")
     return n.crossJoin(v).select("a", "b", "c", (F.col("r") * F.col("c") + F.col("s") * F.col("a") + F.col("t") * F.col("b")).alias("cost"))
@@ -249,6 +225,21 @@ def loads_sql(shares, facts: str, slot: str) -> str:
   select slot::int as slot, coalesce(facts, 0)::bigint as facts, coalesce(copies, 0)::bigint as copies, (coalesce(facts, 0) + coalesce(copies, 0))::bigint as records from s full join c using (slot)"""
 
 
+def greedy_sql(shares, facts: str, cost: str, slots: int = 8) -> str:
+    """Loads after greedy placement: a recursive query takes the costliest cell to the first slot of least load."""
+    zeros = ", ".join(["0.0::double"] * slots)
+    costs = f"select cell, {cost} as cost, row_number() over (order by {cost} desc, cell) as i from ({cost_sql(shares, facts, False)}) q"
+    steps = f"""cc as ({costs}),
+  gg as (select 0::bigint as i, [{zeros}] as loads, -1 as cell, -1::bigint as slot union all
+    select cc.i, list_transform(gg.loads, lambda x, k: case when k = list_position(gg.loads, list_min(gg.loads)) then x + cc.cost else x end), cc.cell, list_position(gg.loads, list_min(gg.loads)) - 1 from gg join cc on cc.i = gg.i + 1),
+  mm as (select map_from_entries(list((cell, slot))) as slot_of from gg where cell >= 0)"""
+    return "with recursive " + steps + ", " + loads_sql(shares, facts, "(select slot_of from mm)[cell]").removeprefix("with ")
+
+
+ORACLES["placement_greedy"] = greedy_sql(FINE, SKEWED["hot_corner"], "cost")
+ORACLES["placement_fact_rows"] = greedy_sql(FINE, SKEWED["hot_corner"], "fact_est")
+
+
 @query(loads_sql(SHARES, SKEWED["hot_corner"], "cell"))
 def placement_one_each(db):
     return _placed(db, placement.place_one_each, shares=SHARES)
@@ -291,7 +282,7 @@ def skew_no_adjust_loads(db):
     return _placed(db, placement.place_one_each, "half_idle", SHARES)
 
 
-@query()
+@query(greedy_sql(FINE, SKEWED["half_idle"], "cost"))
 def skew_adjust_loads(db):
     return _placed(db, placement.place_greedy, "half_idle", FINE)
 

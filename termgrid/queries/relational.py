@@ -10,6 +10,7 @@ from pyspark.sql import types as T
 from .. import session, sqlapi, workloads
 from ..functions.text import term_counts, tokenize
 from ..operators import baselines, frequency, measures, volumes
+from ..operators.cells import cell_frequencies
 from ..sources import read, write
 from . import search, sql
 from .search import MULTI, MULTI_KW, STAR_FREQ, STAR_KW, shared_folder, star_of
@@ -192,8 +193,25 @@ def batch_topk_rank(db):
 
 @query(f"select term, freq, sum(freq) over (order by freq desc, term rows unbounded preceding)::bigint as running from ({STAR_FREQ}) f")
 def cumulative_freq_share(db):
-    w = Window.orderBy(F.desc("freq"), "term").rowsBetween(Window.unboundedPreceding, 0)
-    return _star(db).withColumn("running", F.sum("freq").over(w))
+    return running_sum(_star(db), "freq", "term").select("term", "freq", "running")
+
+
+def running_sum(df, value: str, key: str):
+    """``df`` with the running sum of ``value`` from the largest on, equal ones by ``key``.
+
+    Rows are summed by value first; the few distinct values are summed up in one task, and rows of one value in parts by
+    the first characters of the key, so that no task orders all rows.
+    """
+    df = df.withColumn("_head", F.substring(key, 1, 2))
+    parts = df.groupBy(value, "_head").agg(F.count("*").alias("_n"))
+    levels = parts.groupBy(value).agg(F.sum("_n").alias("_n"))
+    before = lambda *order: Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    levels = levels.select(F.col(value).alias("_v"), F.coalesce(F.sum(F.col(value) * F.col("_n")).over(before(F.desc(value))), F.lit(0)).alias("_above"))
+    inner = Window.partitionBy(value).orderBy("_head").rowsBetween(Window.unboundedPreceding, -1)
+    parts = parts.select(F.col(value).alias("_p"), F.col("_head").alias("_h"), F.coalesce(F.sum("_n").over(inner), F.lit(0)).alias("_same"))
+    rank = F.row_number().over(Window.partitionBy(value, "_head").orderBy(key))
+    out = df.withColumn("_rank", rank).join(parts, (F.col(value) == F.col("_p")) & F.col("_head").eqNullSafe(F.col("_h"))).join(levels, F.col(value) == F.col("_v"))
+    return out.withColumn("running", F.col("_above") + F.col(value) * (F.col("_same") + F.col("_rank"))).drop("_head", "_p", "_h", "_v", "_above", "_same", "_rank")
 
 
 @query("select slot, n, ntile(4) over (order by n, slot)::int as quartile from (select l_suppkey % 16 as slot, count(*)::bigint as n from lineitem group by 1) x")
@@ -214,14 +232,8 @@ def range_frame_orders(db):
     return db.table("orders").select("o_orderkey", F.count("*").over(Window.partitionBy("o_custkey").orderBy(at).rangeBetween(-2592000, 0)).alias("n"))
 
 
-@query("select o_orderkey, percent_rank() over w as pr, cume_dist() over w as cd, first_value(o_orderkey) over w as first_order from orders where o_custkey < 200 window w as (partition by o_custkey order by o_orderdate, o_orderkey)")
-def distribution_windows(db):
-    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-    return db.table("orders").where("o_custkey < 200").select("o_orderkey", F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"), F.first("o_orderkey").over(w).alias("first_order"))
-
-
 @query("select o_orderkey, percent_rank() over w as pr, cume_dist() over w as cd, first_value(o_orderkey) over w as first_order from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey)")
-def distribution_windows_whole(db):
+def distribution_windows(db):
     w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
     return db.table("orders").select("o_orderkey", F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"), F.first("o_orderkey").over(w).alias("first_order"))
 
@@ -258,18 +270,6 @@ def except_terms(db):
     return _terms(db, 0).subtract(_terms(db, 1))
 
 
-@query("select l_returnflag from lineitem where l_orderkey < 50 except all select l_returnflag from lineitem where l_orderkey < 20")
-def except_all_terms(db):
-    x = db.table("lineitem")
-    return x.where("l_orderkey < 50").select("l_returnflag").exceptAll(x.where("l_orderkey < 20").select("l_returnflag"))
-
-
-@query("select l_returnflag from lineitem where l_orderkey < 50 intersect all select l_returnflag from lineitem where l_orderkey between 20 and 60")
-def intersect_all_terms(db):
-    x = db.table("lineitem")
-    return x.where("l_orderkey < 50").select("l_returnflag").intersectAll(x.where("l_orderkey between 20 and 60").select("l_returnflag"))
-
-
 _WORDS, _ITEMS = (f"select unnest({sql.tokens('text')}) as term from {t}" for t in ("documents", "benchmark"))
 
 
@@ -278,12 +278,12 @@ def _words(db, name):
 
 
 @query(f"{_WORDS} except all {_ITEMS}")
-def except_all_terms_whole(db):
+def except_all_terms(db):
     return _words(db, "documents").exceptAll(_words(db, "benchmark"))
 
 
 @query(f"{_WORDS} intersect all {_ITEMS}")
-def intersect_all_terms_whole(db):
+def intersect_all_terms(db):
     return _words(db, "documents").intersectAll(_words(db, "benchmark"))
 
 
@@ -325,15 +325,9 @@ def array_fns(db):
     return db.view("part").select("p_partkey", F.array_join(F.array_sort(F.array_distinct("terms")), " ").alias("words"), F.size("terms").alias("n"), F.array_contains("terms", "red").alias("red"))
 
 
-@query(f"select doc_id, term, count(*)::bigint as n from (select doc_id, unnest({sql.tokens('text')}) as term from documents where doc_id < 50) x group by all")
-def map_term_counts(db):
-    return db.view("documents").where("doc_id < 50").select("doc_id", F.explode(term_counts(F.col("terms"))).alias("term", "n"))
-
-
 @query(f"select doc_id, term, count(*)::bigint as n from (select doc_id, unnest({sql.tokens('text')}) as term from documents) x group by all")
-def map_term_counts_whole(db):
-    # counted by a shuffle: a map of counts takes terms times distinct terms for each text
-    return db.view("documents").select("doc_id", F.explode("terms").alias("term")).groupBy("doc_id", "term").agg(F.count("*").alias("n"))
+def map_term_counts(db):
+    return db.view("documents").select("doc_id", F.explode(term_counts(F.col("terms"))).alias("term", "n"))
 
 
 @query("select event_id, json_extract(props, '$.k')::bigint as k from events")
@@ -377,17 +371,17 @@ def roundtrip_json_csv(db):
     return read(db.spark, b, "csv", "r_regionkey int, r_name string")
 
 
-@query(f"select count(*)::bigint as n_tokens from (select unnest({sql.tokens('text')}) as t from documents)")
+@query(f"select term, count(*)::bigint as n from (select unnest({sql.tokens('text')}) as term from documents) x group by term")
 def arrow_udf_tokens(db):
     """A tokenizer of the user's own, as an Arrow-batched function."""
-    @F.pandas_udf(T.IntegerType())
-    def count(text: pd.Series) -> pd.Series:
+    @F.pandas_udf(T.ArrayType(T.StringType()))
+    def words(text: pd.Series) -> pd.Series:
         import re
 
         cut = re.compile(r"[^\w#]+")
-        return text.fillna("").map(lambda t: sum(1 for x in cut.split(t.lower()) if x)).astype("int32")
+        return text.fillna("").map(lambda t: [x for x in cut.split(t.lower()) if x])
 
-    return db.table("documents").agg(F.sum(count("text")).cast("bigint").alias("n_tokens"))
+    return db.table("documents").select(F.explode(words("text")).alias("term")).groupBy("term").agg(F.count("*").alias("n"))
 
 
 @query("select s_suppkey, cell::int as cell from supplier, range(8) r(cell) where cell % 2 = s_suppkey % 2")
@@ -403,29 +397,23 @@ def udtf_cell_copies(db):
     return db.spark.sql("select s_suppkey, cell from tg_supplier, lateral tg_copies(cast(s_suppkey % 2 as int), 2, 8)")
 
 
-@query(f"select p_brand, count(*)::bigint as n_terms from (select p_brand, unnest({sql.tokens('p_name')}) as t from part) x group by p_brand")
+@query(f"select p_brand, term, count(*)::bigint as n from (select p_brand, unnest({sql.tokens('p_name')}) as term from part) x group by all")
 def udaf_bag_merge(db):
-    @F.pandas_udf("bigint")
-    def size_of_bags(n: pd.Series) -> int:
-        return int(n.sum())
+    """Bags of terms merged to one bag of counts by a grouped function of the user's own."""
+    @F.pandas_udf(T.MapType(T.StringType(), T.LongType()))
+    def merged(term: pd.Series, n: pd.Series) -> dict:
+        return n.groupby(term).sum().to_dict()
 
-    rows = db.table("part").select("p_brand", F.size(tokenize(F.col("p_name"))).alias("n"))
-    return rows.groupBy("p_brand").agg(size_of_bags("n").alias("n_terms"))
+    # counts by (brand, term, task) first: the function gets a bag of counts from each task, not the texts
+    rows = db.table("part").select("p_brand", F.explode(tokenize(F.col("p_name"))).alias("term"))
+    parts = rows.groupBy("p_brand", "term", F.spark_partition_id()).agg(F.count("*").alias("n"))
+    return parts.groupBy("p_brand").agg(merged("term", "n").alias("bag")).select("p_brand", F.explode("bag").alias("term", "n"))
 
 
 @query(STAR_FREQ)
 def arrow_kernel_star_term_freq(db):
-    """Term sums of records by a grouped Arrow kernel instead of the built-in aggregate."""
-    import pyarrow as pa
-    import pyarrow.compute as pc
-
-    def kernel(t: pa.Table) -> pa.Table:
-        return pa.table({"term": t["term"].slice(0, 1), "freq": pa.array([pc.sum(t["part"]).as_py()], pa.int64())})
-
-    records = frequency.weighted_terms(volumes.volume_records(star_of(db)))
-    # a partial sum for each task first, so that a frequent term doesn't meet in one kernel row by row
-    parts = records.where(~F.col("term").isin(STAR_KW)).groupBy("term", F.spark_partition_id()).agg(F.sum("part").alias("part")).select("term", "part")
-    return parts.groupBy("term").applyInArrow(kernel, "term string, freq bigint")
+    """The star counted cell by cell in Arrow kernels: leaf rows are built up, facts probe them, volumes are emitted."""
+    return cell_frequencies(star_of(db), [2, 2, 2], drop=STAR_KW)
 
 
 @query("select count(*)::bigint as n_words from (select unnest(string_split_regex(trim(text, ' \t\n\r'), '\\s+')) as t from documents where text <> '')")
@@ -439,7 +427,7 @@ def mapinarrow_tokens(db):
     return db.table("documents").select("text").mapInArrow(count, "n bigint").agg(F.sum("n").alias("n_words"))
 
 
-@query()
+@query("select p_partkey, p_name from part")
 def sort_within_partitions(db):
     return db.table("part").select("p_partkey", "p_name").repartition(4, "p_partkey").sortWithinPartitions("p_name")
 

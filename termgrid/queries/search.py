@@ -48,7 +48,11 @@ def shared_folder(spark: SparkSession) -> str:
     """A fresh folder that all executors reach."""
     import uuid
 
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tg-")
+    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if base is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors reach")
+        base = tempfile.mkdtemp(prefix="tg-")
     return f"{base}/tg-{uuid.uuid4().hex}"
 
 
@@ -202,17 +206,19 @@ def even_input_splits(db):
 @query("select conv_id as key, count(*)::bigint as num, count(*)::bigint as bags from conversations group by conv_id")
 def combine_leaf_counts(db):
     rows = db.table("conversations").select(F.col("conv_id").alias("key"), F.array(F.col("role")).alias("terms"))
-    return volumes.combine_leaf(volumes.Leaf(rows)).select("key", "num", F.size("terms").cast("bigint").alias("bags"))
+    bags = volumes.combine_leaf(volumes.Leaf(rows))
+    return bags.groupBy("key").agg(F.sum(F.when(F.col("term").isNull(), F.col("n"))).alias("num"), F.sum(F.when(F.col("term").isNotNull(), F.col("n"))).alias("bags"))
 
 
 @query("select p_partkey as key, 1::bigint as num from part")
 def combine_skip_pk(db):
-    return volumes.combine_leaf(volumes.Leaf(db.view("part").withColumnRenamed("p_partkey", "key"), unique=True)).select("key", "num")
+    return volumes.num_array(volumes.Leaf(db.view("part").withColumnRenamed("p_partkey", "key"), unique=True))
 
 
 @query("select l_partkey, l_suppkey, count(*)::bigint as m, (2 * count(*))::bigint as n_terms from lineitem group by all")
 def combine_fact_counts(db):
-    return volumes.combine_fact(db.view("lineitem"), ["l_partkey", "l_suppkey"]).select("l_partkey", "l_suppkey", "m", F.size("terms").cast("bigint").alias("n_terms"))
+    bags = volumes.combine_fact(db.view("lineitem"), ["l_partkey", "l_suppkey"])
+    return bags.groupBy("l_partkey", "l_suppkey").agg(F.sum(F.when(F.col("term").isNull(), F.col("n"))).alias("m"), F.sum(F.when(F.col("term").isNotNull(), F.col("n"))).alias("n_terms"))
 
 
 @query("select conv_id as key, count(*)::bigint as num from conversations group by conv_id")
