@@ -30,9 +30,11 @@ def dealt(star: Star, shares: Sequence[int], slots: dict[int, int] | None = None
     slots = slots or {c: c for c in range(math.prod(shares))}
     place = slot_map(slots)
     keys = [f"k{i + 1}" for i in range(d)]
+    whole = ("tinyint", "smallint", "int", "bigint")
+    kind_of = "long" if all(t in whole for _, t in [*star.root.select(*star.keys).dtypes, *[x.rows.select("key").dtypes[0] for x in star.leaves]]) else "string"
     facts = star.root.where(" and ".join(f"{k} is not null" for k in star.keys))
     facts = facts.withColumn("_cell", fact_cell(star.keys, shares, kind))
-    out = facts.select(place[F.col("_cell")].alias("slot"), F.lit(d).alias("tag"), *[F.col(k).cast("long").alias(n) for k, n in zip(star.keys, keys)], "terms")
+    out = facts.select(place[F.col("_cell")].alias("slot"), F.lit(d).alias("tag"), *[F.col(k).cast(kind_of).alias(n) for k, n in zip(star.keys, keys)], "terms")
     occupied = F.broadcast(facts.select(F.col("_cell").alias("cell")).distinct().agg(F.collect_set("cell").alias("_occupied"))) if prune else None
     for i, leaf in enumerate(star.leaves):
         rows = leaf.rows.where("key is not null")
@@ -41,7 +43,7 @@ def dealt(star: Star, shares: Sequence[int], slots: dict[int, int] | None = None
             rows = rows.crossJoin(occupied)
             cells = F.array_intersect(cells, F.col("_occupied"))
         rows = rows.withColumn("_slot", F.explode(F.array_distinct(F.transform(cells, lambda c: place[c]))))
-        out = out.unionByName(rows.select(F.col("_slot").alias("slot"), F.lit(i).alias("tag"), *[(F.col("key").cast("long") if j == i else F.lit(None).cast("long")).alias(n) for j, n in enumerate(keys)], "terms"))
+        out = out.unionByName(rows.select(F.col("_slot").alias("slot"), F.lit(i).alias("tag"), *[(F.col("key").cast(kind_of) if j == i else F.lit(None).cast(kind_of)).alias(n) for j, n in enumerate(keys)], "terms"))
     return out.withColumn("terms", without(F.col("terms"), drop))
 
 
@@ -53,7 +55,7 @@ class _Slot:
         self.keys: list[np.ndarray] | None = None
 
     def leaf(self, i: int, part: pa.RecordBatch) -> None:
-        self.rows[i].append((part.column(2 + i).to_numpy(), part.column(2 + self.d)))
+        self.rows[i].append((part.column(2 + i).to_numpy(zero_copy_only=False), part.column(2 + self.d)))
 
     def _build(self) -> None:
         self.keys, self.nums, self.inverse, self.volumes = [], [], [], []
@@ -71,7 +73,7 @@ class _Slot:
         n = part.num_rows
         fits, at = np.ones(n, bool), []
         for i in range(self.d):
-            k = part.column(2 + i).to_numpy()
+            k = part.column(2 + i).to_numpy(zero_copy_only=False)
             x = np.searchsorted(self.keys[i], k)
             x[x == len(self.keys[i])] = 0
             fits &= self.keys[i][x] == k if len(self.keys[i]) else False
@@ -147,8 +149,8 @@ def cell_frequencies(star: Star, shares: Sequence[int], slots: dict[int, int] |
 
     A slot gets its leaf rows first and keeps them (number and text of each key); facts stream past, each adding its terms
     and its part of the volumes; at the end the leaf texts are weighed. As each fact is in one slot, the sums over slots
-    are the answer. A task holds the leaf rows of one slot, so the shares must be so fine that these fit. Keys are whole
-    numbers; sums are 64-bit. Rows with null keys join nothing. Without leaves every root row counts once.
+    are the answer. A task holds the leaf rows of one slot, so the shares must be so fine that these fit. Keys that are
+    not whole numbers are compared as strings; sums are 64-bit. Rows with null keys join nothing. Without leaves every root row counts once.
     """
     if star.wide:
         raise ValueError("slots count in 64 bits; use star_frequencies for wide counts")

@@ -26,10 +26,15 @@ class Branch:
     unique: tuple[str, ...] = ()
 
 
-def compile_tree(db: Database, keywords: Sequence[str], node: Node) -> Branch:
-    """A network as unresolved plans: exact tuple sets hung on each other."""
+def compile_tree(db: Database, keywords: Sequence[str], node: Node, tuples: bool = False) -> Branch:
+    """A network as unresolved plans: exact tuple sets hung on each other.
+
+    ``tuples``: rows carry the name of their relation and their keys, as an array of one string.
+    """
     rows = tuple_set(db.view(node.relation), keywords, node.mask)
-    return Branch(rows, [(c.on[0], c.on[1], compile_tree(db, keywords, c)) for c in node.children], node.relation, db.graph.relations[node.relation].unique)
+    if tuples:
+        rows = rows.withColumn("tuples", F.array(F.concat_ws(":", F.lit(node.relation), *[F.col(k).cast("string") for k in db.graph.relations[node.relation].keys])))
+    return Branch(rows, [(c.on[0], c.on[1], compile_tree(db, keywords, c, tuples)) for c in node.children], node.relation, db.graph.relations[node.relation].unique)
 
 
 def _upward(b: Branch) -> tuple[DataFrame, list]:
@@ -69,11 +74,12 @@ def tree_frequencies(b: Branch, drop: Sequence[str] = ()) -> DataFrame:
 
 
 def joined(b: Branch) -> DataFrame:
-    """The branch and all below it as joined rows with one bag: its own columns and ``terms``."""
+    """The branch and all below it as joined rows with one bag: its own columns and ``terms`` (and ``tuples``)."""
     df = b.rows
+    bags = [c for c in ("terms", "tuples") if c in df.columns]
     for own, other, child in b.children:
-        below = joined(child).select(F.col(other).alias("_k"), F.col("terms").alias("_t"))
-        df = df.join(below, F.col(own) == F.col("_k")).withColumn("terms", F.concat("terms", "_t")).drop("_k", "_t")
+        below = joined(child).select(F.col(other).alias("_k"), *[F.col(c).alias(f"_{c}") for c in bags])
+        df = df.join(below, F.col(own) == F.col("_k")).withColumns({c: F.concat(c, f"_{c}") for c in bags}).drop("_k", *[f"_{c}" for c in bags])
     return df
 
 
@@ -91,6 +97,12 @@ def starify(b: Branch) -> Star:
     return Star(root, [a for a, _ in keys], leaves)
 
 
-def choose_merges(sizes: dict[str, int], pairs: Sequence[tuple[str, str]]) -> list[tuple[str, str]]:
-    """The order in which pairs of relations are joined: the smallest estimated result (here the larger side) first."""
-    return sorted(pairs, key=lambda p: (max(sizes[p[0]], sizes[p[1]]), p))
+def joined_size(left: DataFrame, right: DataFrame, own: str, other: str, exact: bool = False) -> DataFrame:
+    """``(n,)``: the estimated rows of an equi-join: the rows of both sides over the larger number of distinct keys (estimated, or ``exact``)."""
+    side = lambda df, c, x: df.agg(F.count(c).alias(f"n{x}"), F.countDistinct(c).alias(f"v{x}") if exact else F.approx_count_distinct(c).alias(f"v{x}"))
+    return side(left, own, "a").crossJoin(side(right, other, "b")).select((F.col("na") * F.col("nb") / F.greatest("va", "vb", F.lit(1))).alias("n"))
+
+
+def choose_merges(sizes: dict[tuple[str, str], float]) -> list[tuple[str, str]]:
+    """The order in which pairs of relations are joined: the smallest estimated result first, equal ones by name."""
+    return sorted(sizes, key=lambda p: (sizes[p], p))

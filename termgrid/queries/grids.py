@@ -287,6 +287,67 @@ def skew_adjust_loads(db):
     return _placed(db, placement.place_greedy, "half_idle", FINE)
 
 
+def skewed_star(db: Database, shape: str, profile: str = "half_idle") -> Star:
+    """The load of a batch on skewed line items: their keys with the leaves of its shape, orders merged with customers in chains."""
+    star = bare_star(db, profile)
+    keep = [0, 1, 2] if shape == "star" else [1, 2]
+    leaves = [star.leaves[i] for i in keep]
+    if shape == "chain":
+        merged = db.table("orders").join(db.table("customer").select("c_custkey"), F.col("o_custkey") == F.col("c_custkey"))
+        leaves[1] = Leaf(merged.select(F.col("o_orderkey").alias("key"), F.array().cast("array<string>").alias("terms")), True, "orders")
+    return Star(star.root, [star.keys[i] for i in keep], leaves)
+
+
+#: Batches of the skew experiment with their shapes, and the grids of 8 and of 27 cells for each shape.
+SKEW_BATCHES = (("Q1", "star"), ("Q4", "chain"), ("Q5", "chain"))
+SKEW_GRIDS = {"star": {8: [2, 2, 2], 27: [3, 3, 3]}, "chain": {8: [2, 4], 27: [3, 9]}}
+
+
+def skew_placement(star: Star, shape: str, cells: int, fraction: float = 0.1) -> dict[int, int]:
+    """Cells on 8 slots: one each for 8 cells; else greedy by costs that are estimated on a simple random sample."""
+    if cells == 8:
+        return {c: c for c in range(8)}
+    some = Star(placement.sample_simple(star.root, fraction), star.keys, [Leaf(placement.sample_simple(x.rows, fraction), x.unique, x.name) for x in star.leaves])
+    costs = placement.costs_of(placement.cell_costs(some, SKEW_GRIDS[shape][cells], fraction, "mod"))
+    # cells that the sample missed come last, at no cost
+    return placement.place_greedy({c: costs.get(c, 0.0) for c in range(cells)}, 8)
+
+
+@query()
+def skew_experiment(db):
+    """Loads of 8 slots with 8 and with 27 cells, for the batches of the skew experiment on one skewed table."""
+    out = None
+    for shape in ("star", "chain"):
+        star = skewed_star(db, shape)
+        for cells, shares in SKEW_GRIDS[shape].items():
+            loads = placement.slot_loads(star, shares, skew_placement(star, shape, cells), "mod")
+            row = measures.slot_load(loads, 8).crossJoin(loads.agg(F.sum("records").alias("records"), F.sum("facts").alias("facts")))
+            batches = F.explode(F.array(*[F.lit(b) for b, s in SKEW_BATCHES if s == shape])).alias("batch")
+            row = row.select(batches, F.lit(cells).alias("cells"), "max_records", "mean_records", "ratio", "idle", "records", "facts")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def placement_simple_sample(db):
+    """Greedy placement of 27 cells by costs estimated on a simple random sample of a tenth; the loads are those of all rows."""
+    star = bare_star(db, "hot_corner")
+    return placement.slot_loads(star, FINE, skew_placement(star, "star", 27), "mod")
+
+
+def results_cost(facts, leaves, joins):
+    """Another cost of a cell: its results count twice, leaf rows half, as they are sent but once probed."""
+    out = facts + 2 * joins
+    for x in leaves:
+        out = out + x / 2
+    return out
+
+
+@query(f"select cell, fact_est + 2 * join_est + (cost - fact_est - join_est) / 2 as cost from ({cost_sql(SHARES, 'lineitem', False)}) q")
+def cell_cost_plugged(db):
+    return placement.cell_costs(bare_star(db), SHARES, kind="mod", cost=results_cost).select("cell", "cost")
+
+
 @query(f"select (select count(*) from ({copies_sql(SHARES)}) c)::bigint as copies_8, (select count(*) from ({copies_sql(FINE)}) c)::bigint as copies_27, (select count(*) from {SKEWED['hot_corner']} l)::bigint as facts")
 def skew_shuffle_growth(db):
     star = bare_star(db, "hot_corner")
@@ -322,6 +383,25 @@ def exactness_grid(db):
     return measures.mismatches(grid.grid_frequencies(star, FINE, {c: c % 8 for c in range(27)}, drop=STAR_KW), baselines.straightforward(star, STAR_KW)).agg(F.count("*").alias("n_differences"))
 
 
-@query(f"select * from (select 'combine facts' as step, (select count(*) from {sql.tuple_set('lineitem', STAR_KW, 0)})::bigint as rows_before, (select count(*) from (select distinct l_partkey, l_suppkey, l_orderkey from {sql.tuple_set('lineitem', STAR_KW, 0)}))::bigint as rows_after)")
+def _ledger_sql() -> str:
+    lines = sql.tuple_set("lineitem", STAR_KW, 0)
+    sets = [sql.tuple_set(t, STAR_KW, 1 << i) for i, (t, _, _) in enumerate(AXES)]
+    row = lambda step, before, after: f"select '{step}' as step, ({before})::bigint as rows_before, ({after})::bigint as rows_after"
+    n = lambda rows: f"select count(*) from {rows} x"
+    out = [row("combine facts", n(lines), f"select count(*) from (select distinct l_partkey, l_suppkey, l_orderkey from {lines}) x")]
+    a, b, c = SHARES
+    grid_ = f"(select x * {b * c} + y * {c} + z as cell, x, y, z from range({a}) r1(x), range({b}) r2(y), range({c}) r3(z))"
+    for i, ((_, k, _), rows, v) in enumerate(zip(AXES, sets, "xyz"), 1):
+        copies = f"(select g.cell from {rows} t, {grid_} g where {k} % {SHARES[i - 1]} = g.{v})"
+        out.append(row(f"combine leaf {i}", n(rows), f"select count(distinct {k}) from {rows} x"))
+        out.append(row(f"prune cells of leaf {i}", n(copies), f"select count(*) from {copies} x where cell in (select {cell_sql(SHARES)} from {lines} l)"))
+    words = "(select unnest(terms) as t from (" + " union all ".join(f"select terms from {x} y" for x in (lines, *sets)) + ") z)"
+    out.append(row("drop keywords", n(words), f"select count(*) from {words} x where t not in ({', '.join(repr(w) for w in STAR_KW)})"))
+    keep = " and ".join(f"{f} in (select {k} from {rows} y)" for (_, k, f), rows in zip(AXES, sets))
+    out.append(row("dangling facts", n(lines), f"select count(*) from {lines} x where {keep}"))
+    return " union all ".join(out)
+
+
+@query(_ledger_sql())
 def reduction_ledger(db):
-    return measures.ledger(star_of(db), SHARES, STAR_KW, "mod").where("step = 'combine facts'")
+    return measures.ledger(star_of(db), SHARES, STAR_KW, "mod")

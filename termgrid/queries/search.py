@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import functools
-import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,8 +11,9 @@ from .. import session, workloads
 from ..catalog import Database, Relation, orders_schema
 from ..functions.text import count_in, without
 from ..operators import baselines, frequency, measures, trees, tuplesets, volumes
+from ..operators.cells import cell_frequencies
 from ..plans.networks import Node
-from ..sources import running_example
+from ..sources import running_example, shared_folder
 from . import sql
 
 QUERIES: dict = {}
@@ -44,18 +44,6 @@ def query(oracle: str | None = None, name: str | None = None):
     return add
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """A fresh folder that all executors reach."""
-    import uuid
-
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
-    if base is None:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("spark.checkpoint.dir must name a folder that all executors reach")
-        base = tempfile.mkdtemp(prefix="tg-")
-    return f"{base}/tg-{uuid.uuid4().hex}"
-
-
 def star_of(db: Database, node: Node | None = None, keywords=STAR_KW) -> volumes.Star:
     return trees.starify(trees.compile_tree(db, keywords, node or workloads.star()))
 
@@ -72,15 +60,34 @@ def cot_star_topk(db):
     return session.cooccurring_terms(db, STAR_KW, 10, 4)
 
 
+@query(sql.top(sql.frequencies([workloads.star()], STAR_KW), 10))
+def cot_star_topk_stored(db):
+    """The same from tuple sets that are stored by mask, so that each relation is scanned once for all networks."""
+    return session.cooccurring_terms(db, STAR_KW, 10, 4, store=shared_folder(db.spark))
+
+
 @query(sql.top(sql.frequencies(MULTI, MULTI_KW), 10))
 def cot_multi_cn(db):
-    return session.cooccurring_terms(db, MULTI_KW, 10, 3)
+    return session.cooccurring_terms(db, MULTI_KW, 10, 3, store=shared_folder(db.spark))
 
 
-@query(" union all ".join(f"select {i}::int as cn_id, count(*)::bigint as n_results from ({sql.results(n, MULTI_KW)}) r" for i, n in enumerate(MULTI)))
+# networks are numbered by size and name: that of orders comes before that of parts
+@query(" union all ".join(f"select {i}::int as cn_id, count(*)::bigint as n_results from ({sql.results(n, MULTI_KW)}) r" for i, n in enumerate(MULTI[::-1])))
 def ks_results_count(db):
-    parts = [trees.joined(trees.compile_tree(db, MULTI_KW, n)).agg(F.count("*").alias("n_results")).select(F.lit(i).alias("cn_id"), "n_results") for i, n in enumerate(MULTI)]
-    return parts[0].unionByName(parts[1])
+    return session.keyword_results(db, MULTI_KW, 3).groupBy("cn_id").agg(F.count("*").alias("n_results"))
+
+
+@query(" union all ".join(f"select {i}::int as cn_id, array_to_string(tuples, ' ') as tuples from ({sql.result_tuples(n, MULTI_KW)}) r" for i, n in enumerate(MULTI[::-1])))
+def ks_results(db):
+    """Every result of the query, named by its rows."""
+    return session.keyword_results(db, MULTI_KW, 3).select("cn_id", F.array_join("tuples", " ").alias("tuples"))
+
+
+@query(f"select term, count(*)::bigint as n_results from ({sql.results(workloads.star(), STAR_KW)}) r, (select term from ({sql.top(STAR_FREQ, 4)}) t) w where list_contains(terms, term) group by term")
+def expanded_query_results(db):
+    """Feedback: the query with each of its four most frequent terms added, and the results that are then left."""
+    words = session.expand_query(STAR_KW, session.cooccurring_terms(db, STAR_KW, 4, 4), 4)
+    return session.refine_counts(session.keyword_results(db, STAR_KW, 4), words[len(STAR_KW):])
 
 
 @query(" union all ".join(f"select {i}::int as cn_id, term, freq from ({sql.frequencies([n], MULTI_KW)}) f" for i, n in enumerate(MULTI)))
@@ -308,6 +315,33 @@ def order_root_star(db):
     return frequency.star_frequencies(star_of(db, workloads.order_root(), ORDER_KW), ORDER_KW)
 
 
+SUPPLIER_KW = ["r", "a"]
+
+
+@query(sql.frequencies([workloads.supplier_root()], SUPPLIER_KW))
+def supplier_root_star(db):
+    """Two line items of one supplier: hundreds of rows of each leaf a key, so results are many times the rows."""
+    return frequency.star_frequencies(star_of(db, workloads.supplier_root(), SUPPLIER_KW), SUPPLIER_KW)
+
+
+@query(sql.frequencies([workloads.supplier_root()], SUPPLIER_KW))
+def baseline_full_join_supplier_root(db):
+    return baselines.straightforward(star_of(db, workloads.supplier_root(), SUPPLIER_KW), SUPPLIER_KW)
+
+
+@query(sql.frequencies([workloads.order_root()], ORDER_KW))
+def cell_kernel_order_root(db):
+    """Repeated leaf keys counted inside the slots of a grid."""
+    return cell_frequencies(star_of(db, workloads.order_root(), ORDER_KW), [3, 2, 2], {c: c % 5 for c in range(12)}, ORDER_KW)
+
+
+@query("select round(n1 * n2 / greatest(v1, v2, 1))::bigint as n from (select count(o_custkey) as n1, count(distinct o_custkey) as v1 from orders) a, (select count(c_custkey) as n2, count(distinct c_custkey) as v2 from customer) b")
+def merge_size_estimate(db):
+    """Rows that the merge of orders and customers is estimated to have; merges go from the smallest on."""
+    exact = trees.joined_size(db.table("orders"), db.table("customer"), "o_custkey", "c_custkey", True)
+    return exact.select(F.round("n").cast("bigint").alias("n"))
+
+
 def _conversations(db: Database) -> Database:
     g = orders_schema()
     g.add(Relation("user_turns", ("conv_id",), ("text",), table="conversations", where="role = 'user'"))
@@ -368,19 +402,33 @@ for _shape, _first in (("star", 1), ("chain", 4), ("mix", 7)):
         query(sql.batch(workloads.batch(_shape, _n), _make), f"{_shape}_q{_first + _n}")(_run)
 
 
+MAKE = {"star": workloads.star, "chain": workloads.chain, "mix": workloads.mix}
+
+
 def _counts_sql() -> str:
-    each = []
-    for shape, make in (("star", workloads.star), ("chain", workloads.chain), ("mix", workloads.mix)):
-        each += [f"select '{shape}' as shape, {q}::int as qid, count(*)::bigint as n_results from ({sql.results(make(), kw)}) r" for q, kw in workloads.batch(shape, 0)[:2]]
-    return " union all ".join(each)
+    each = " union all ".join(f"select '{shape}' as shape, {n}::int as batch, {q}::int as qid, count(*)::bigint as n_results from ({sql.results(make(), kw)}) r" for shape, make in MAKE.items() for n in range(3) for q, kw in workloads.batch(shape, n))
+    views = {r: sql.view(r) for r in ("lineitem", "part", "supplier", "orders", "customer")}
+    for r, text in views.items():
+        each = each.replace(text, f"{r}_view")
+    return "with " + ", ".join(f"{r}_view as materialized {text}" for r, text in views.items()) + " " + each
 
 
 @query(_counts_sql())
 def workload_result_counts(db):
+    """Results of all ninety queries, none of which may be empty of rows here: a query without results counts 0."""
+    parts = [workloads.batch_result_counts(db, shape, workloads.batch(shape, n)).select(F.lit(shape).alias("shape"), F.lit(n).alias("batch"), "qid", "n_results") for shape in MAKE for n in range(3)]
+    return functools.reduce(lambda a, b: a.unionByName(b), parts)
+
+
+@query()
+def generated_batches(db):
+    """Ten queries of each shape, made from the texts of joined results, with their numbers of results."""
     parts = []
-    for shape, make in (("star", workloads.star), ("chain", workloads.chain), ("mix", workloads.mix)):
-        for q, kw in workloads.batch(shape, 0)[:2]:
-            parts.append(volumes.result_count(star_of(db, make(), kw)).select(F.lit(shape).alias("shape"), F.lit(q).alias("qid"), "n_results"))
+    for shape in MAKE:
+        made = list(enumerate(workloads.generated_batch(db, shape)))
+        words = db.spark.createDataFrame([(q, " ".join(kw)) for q, kw in made], "q int, keywords string")
+        counts = workloads.batch_result_counts(db, shape, made)
+        parts.append(counts.join(F.broadcast(words), F.col("qid") == F.col("q")).select(F.lit(shape).alias("shape"), "qid", "keywords", "n_results"))
     return functools.reduce(lambda a, b: a.unionByName(b), parts)
 
 

@@ -42,6 +42,13 @@ def results(node: Node, keywords: Sequence[str]) -> str:
     return f"select flatten([{', '.join(bags)}]) as terms{froms}"
 
 
+def result_tuples(node: Node, keywords: Sequence[str], graph: SchemaGraph = GRAPH) -> str:
+    """All results by the relation and keys of their rows."""
+    names = [f"concat_ws(':', '{x.relation}', " + ", ".join(f"n{i}.{k}" for k in graph.relations[x.relation].keys) + ")" for i, x in enumerate(node.walk())]
+    text = results(node, keywords)
+    return f"select list_sort([{', '.join(names)}]) as tuples" + text[text.index(" from ", text.index(" as terms")) :]
+
+
 def without(keywords: Sequence[str]) -> str:
     return " where term not in (" + ", ".join(f"'{w}'" for w in keywords) + ")" if keywords else ""
 

@@ -8,7 +8,7 @@ from .. import streaming
 from ..functions.text import tokenize
 from ..operators import tuplesets
 from . import search, sql
-from .search import shared_folder
+from ..sources import shared_folder
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -48,9 +48,11 @@ def session_counts(db):
     return s.groupBy("user_id").agg(F.count("*").alias("n_sessions"))
 
 
-@query()
+@query("select start, term, freq from (select time_bucket(interval 1 day, ts) as start, event_type as term, count(*)::bigint as freq from events group by all) x where start + interval 1 day <= (select max(ts) from events) - interval 1 hour")
 def stream_watermark(db):
-    return streaming.drained(streaming.windowed_terms(streaming.event_stream(db), "1 day", late="1 hour"), "append", shared_folder(db.spark))
+    """Days that the watermark has passed, each once; the days after it are still open."""
+    out = streaming.drained(streaming.windowed_terms(streaming.event_stream(db), "1 day", late="1 hour"), "append", shared_folder(db.spark))
+    return out.withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
 @query("select count(distinct event_id)::bigint as n from events")
@@ -58,13 +60,22 @@ def stream_dedup(db):
     return streaming.drained(streaming.deduplicated(streaming.event_stream(db).select("event_id", "ts")), "append", shared_folder(db.spark)).agg(F.count("*").alias("n"))
 
 
-@query()
+@query("select start, term, freq, row_number() over (partition by start order by freq desc, term)::bigint as rank from (select time_bucket(interval 1 day, ts) as start, event_type as term, count(*)::bigint as freq from events group by all) x qualify rank <= 3")
 def stream_topk_state(db):
-    """The three most frequent terms of each day, kept as state in a complete-mode aggregate and ranked on reading."""
-    from ..operators.frequency import top_terms
-
-    kept = streaming.drained(streaming.windowed_terms(streaming.event_stream(db), "1 day"), "complete", shared_folder(db.spark))
-    return top_terms(kept, 3, by=("start",))
+    """The three most frequent terms of each day, from counts kept as state of the day; the last update of a day holds."""
+    kept = streaming.drained(streaming.kept_top(streaming.event_stream(db), 3), "update", shared_folder(db.spark))
+    last = kept.groupBy(F.col("start").alias("_s")).agg(F.max("batch").alias("_b"))
+    kept = kept.join(last, (F.col("start") == F.col("_s")) & (F.col("batch") == F.col("_b")))
+    return kept.select(F.col("start").cast("timestamp_ntz").alias("start"), "term", "freq", "rank")
+
+
+@query("select l_partkey as k1, l_suppkey as k2, (n2 * 1)::bigint as volume from lineitem join (select p_partkey as a, 1 as n1 from part) x on l_partkey = a join (select user_id as b, count(*) as n2 from events group by 1) y on l_suppkey = b")
+def leaf_delta_volumes(db):
+    """What new rows of one leaf add to the volumes: the events as new rows of the second leaf, by their user as key."""
+    facts = db.table("lineitem").select(F.col("l_partkey").alias("k1"), F.col("l_suppkey").alias("k2"))
+    parts = db.table("part").select(F.col("p_partkey").alias("key"), F.lit(1).cast("bigint").alias("num"))
+    fresh = db.table("events").groupBy(F.col("user_id").alias("key")).agg(F.count("*").alias("num"))
+    return streaming.leaf_delta(facts, [parts, fresh], ["k1", "k2"], fresh, 1)
 
 
 @query(f"select term, count(*)::bigint as freq from (select unnest({sql.tokens('event_type')}) as term from events) x group by term")

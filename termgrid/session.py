@@ -11,7 +11,7 @@ from .catalog import Database
 from .functions.text import without
 from .operators.frequency import star_frequencies, star_frequencies_by_key, top_terms, total_frequencies
 from .operators.trees import compile_tree, joined, starify, tree_frequencies
-from .operators.tuplesets import mask_histogram
+from .operators.tuplesets import mask_histogram, tag
 from .plans.networks import Node, classify, enumerate_networks
 
 RELATIONS = ("part", "supplier", "orders", "customer", "lineitem")
@@ -35,8 +35,14 @@ def network_frequencies(db: Database, keywords: Sequence[str], tree: Node, metho
     return (star_frequencies if method == "volume" else star_frequencies_by_key)(starify(branch), gone)
 
 
-def cooccurring_terms(db: Database, keywords: Sequence[str], k: int, rmax: int, method: str = "volume", stopwords: Sequence[str] = (), relations: Sequence[str] = RELATIONS) -> DataFrame:
-    """``(term, freq, rank)``: the k terms, other than the keywords, with the most occurrences over all results."""
+def cooccurring_terms(db: Database, keywords: Sequence[str], k: int, rmax: int, method: str = "volume", stopwords: Sequence[str] = (), relations: Sequence[str] = RELATIONS, store: str | None = None) -> DataFrame:
+    """``(term, freq, rank)``: the k terms, other than the keywords, with the most occurrences over all results.
+
+    With ``store``, a folder, the relations are scanned once: their rows are kept there by the keywords they hold, and all
+    networks read the folders of their tuple sets. Without, each tuple set scans its relation.
+    """
+    if store is not None:
+        db = tag(db, keywords, relations, store)
     found = networks(db, keywords, rmax, relations)
     if not found:
         return db.spark.createDataFrame([], "term string, freq bigint, rank bigint")
@@ -45,8 +51,13 @@ def cooccurring_terms(db: Database, keywords: Sequence[str], k: int, rmax: int,
 
 
 def keyword_results(db: Database, keywords: Sequence[str], rmax: int, relations: Sequence[str] = RELATIONS) -> DataFrame:
-    """``(cn_id, terms)`` of every joined result."""
-    parts = [joined(compile_tree(db, keywords, classify(t)[1])).select(F.lit(i).alias("cn_id"), "terms") for i, t in enumerate(networks(db, keywords, rmax, relations))]
+    """``(cn_id, tuples, terms)`` of every joined result; ``tuples`` names its rows by relation and keys, in order.
+
+    Queries without a network give no rows.
+    """
+    parts = [joined(compile_tree(db, keywords, classify(t)[1], True)).select(F.lit(i).alias("cn_id"), F.array_sort("tuples").alias("tuples"), "terms") for i, t in enumerate(networks(db, keywords, rmax, relations))]
+    if not parts:
+        return db.spark.createDataFrame([], "cn_id int, tuples array<string>, terms array<string>")
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)

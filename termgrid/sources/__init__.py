@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
 FORMATS = ("parquet", "json", "csv", "text", "orc")
@@ -46,3 +49,13 @@ def running_example(spark: SparkSession) -> dict[str, DataFrame]:
             "A string, B string, C string, terms array<string>",
         ),
     }
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """A fresh folder that all executors reach, below the session's checkpoint folder."""
+    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if base is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors reach")
+        base = tempfile.mkdtemp(prefix="tg-")
+    return f"{base}/tg-{uuid.uuid4().hex}"

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-import uuid
-
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from ..catalog import Database
 from ..functions.text import tokenize
+from ..shipping import shipped
 
 
 def event_stream(db: Database, files: int = 1) -> DataFrame:
@@ -21,12 +22,25 @@ def event_stream(db: Database, files: int = 1) -> DataFrame:
     return reader.option("pathGlobFilter", name).parquet(folder).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drained(stream: DataFrame, mode: str, checkpoint: str, name: str | None = None) -> DataFrame:
-    """The stream's result after all that is there now, from a table in memory: for tests and small answers."""
-    name = name or f"tg_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+def drained(stream: DataFrame, mode: str, checkpoint: str, schema: StructType | None = None) -> DataFrame:
+    """The stream's result after all that is there now, from Parquet beside the checkpoint; rows stay on the executors.
+
+    Each micro-batch writes a folder of its own, so a batch that runs again after a failure replaces itself. In complete
+    mode the last folder is the answer; else all folders, with their number as ``batch`` in update mode.
+    """
+    spark, out = stream.sparkSession, f"{checkpoint}-out"
+    schema = StructType([StructField(f.name, f.dataType, True) for f in (schema or stream.schema).fields])
+
+    def keep(rows: DataFrame, number: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+    spark.createDataFrame([], schema).write.mode("overwrite").parquet(f"{out}/batch=-1")
+    stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    got = spark.read.schema(StructType([*schema.fields, StructField("batch", LongType())])).parquet(out)
+    if mode == "complete":
+        last = got.agg(F.max("batch").alias("_last"))
+        got = got.join(F.broadcast(last), F.col("batch") == F.col("_last")).drop("_last")
+    return got if mode == "update" else got.drop("batch")
 
 
 def streamed_terms(facts: DataFrame, leaf: DataFrame, key: str) -> DataFrame:
@@ -64,3 +78,22 @@ def leaf_delta(facts: DataFrame, nums: list[DataFrame], keys: list[str], delta:
     for i in range(len(keys)):
         volume = volume * F.col(f"_n{i}")
     return out.select(*keys, volume.alias("volume"))
+
+
+def kept_top(events: DataFrame, k: int, width: str = "1 day") -> DataFrame:
+    """``(start, term, freq, rank)`` in update mode: for each window with new events its k most frequent terms.
+
+    The state of a window is its counts by term, of which there are as many as event types; equal counts rank by term.
+    """
+    terms = shipped(events).select(F.window("ts", width).getField("start").alias("start"), F.explode(tokenize(F.col("event_type"))).alias("term"))
+
+    def update(key, frames, state):
+        counts = dict(zip(*state.get)) if state.exists else {}
+        for frame in frames:
+            for term, n in frame["term"].value_counts().items():
+                counts[term] = counts.get(term, 0) + int(n)
+        state.update((list(counts), list(counts.values())))
+        best = sorted(counts.items(), key=lambda x: (-x[1], x[0]))[:k]
+        yield pd.DataFrame({"start": [key[0]] * len(best), "term": [t for t, _ in best], "freq": [n for _, n in best], "rank": range(1, len(best) + 1)})
+
+    return terms.groupBy("start").applyInPandasWithState(update, "start timestamp, term string, freq bigint, rank bigint", "terms array<string>, counts array<bigint>", "update", "NoTimeout")

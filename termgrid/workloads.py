@@ -8,8 +8,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .catalog import Database
-from .functions.text import without
 from .operators.frequency import sum_terms, top_terms
+from .operators.volumes import product
 from .plans.networks import Node
 
 PART, SUPPLIER, ORDERS, CUSTOMER = ("l_partkey", "p_partkey"), ("l_suppkey", "s_suppkey"), ("l_orderkey", "o_orderkey"), ("o_custkey", "c_custkey")
@@ -36,6 +36,11 @@ def order_root() -> Node:
     return Node("orders", 0, None, (Node("lineitem", 1, ("o_orderkey", "l_orderkey")), Node("lineitem", 2, ("o_orderkey", "l_orderkey")), Node("customer", 4, CUSTOMER)))
 
 
+def supplier_root() -> Node:
+    """Two line items of one supplier."""
+    return Node("supplier", 0, None, (Node("lineitem", 1, ("s_suppkey", "l_suppkey")), Node("lineitem", 2, ("s_suppkey", "l_suppkey"))))
+
+
 def event_pair() -> Node:
     return Node("events", 1, None, (Node("customer", 2, ("user_id", "c_custkey")),))
 
@@ -60,8 +65,8 @@ def batch(shape: str, number: int) -> list[tuple[int, list[str]]]:
 HOLDERS = {"star": ("part", "supplier", "orders"), "chain": ("supplier", "customer"), "mix": ("part", "supplier", "customer")}
 
 
-def batch_frequencies(db: Database, shape: str, queries: Sequence[tuple[int, list[str]]]) -> DataFrame:
-    """``(qid, term, freq)`` of all queries of a batch in one plan.
+def _batch_facts(db: Database, shape: str, queries: Sequence[tuple[int, list[str]]]) -> tuple[DataFrame, list]:
+    """Facts ``(qid, keys, terms, n0..)`` that every leaf of a query matches, and the leaves as (key, rows).
 
     Tuple sets get the query id as a column: a row is in the set of each query whose keyword it holds and whose others it
     lacks. Counting is then by (query, key), so tables are scanned once for the batch. The batch itself is a handful of
@@ -98,15 +103,25 @@ def batch_frequencies(db: Database, shape: str, queries: Sequence[tuple[int, lis
         facts = facts.join(nums, on if i == 0 else on & (F.col("q0") == F.col(f"q{i}")))
     facts = facts.join(b, F.col("q0") == F.col("qid")).where(~F.arrays_overlap("terms", F.array(*[F.col(f"kw{j}") for j in range(n)])))
     facts = facts.select("qid", *[k for k, _ in leaves], "terms", *[f"n{i}" for i in range(n)])
-    every = F.lit(1).cast("bigint")
-    for i in range(n):
-        every = every * F.col(f"n{i}")
-    out = facts.select("qid", F.explode("terms").alias("term"), every.alias("part"))
+    return facts, leaves
+
+
+def batch_result_counts(db: Database, shape: str, queries: Sequence[tuple[int, list[str]]]) -> DataFrame:
+    """``(qid, n_results)`` of all queries of a batch in one plan, without a result; 0 for queries that have none."""
+    facts, leaves = _batch_facts(db, shape, queries)
+    counts = facts.groupBy("qid").agg(F.sum(product([F.col(f"n{i}") for i in range(len(leaves))])).alias("n"))
+    every = db.spark.createDataFrame([(q,) for q, _ in queries], "qid int")
+    return every.join(counts, "qid", "left").select("qid", F.coalesce("n", F.lit(0)).cast("bigint").alias("n_results"))
+
+
+def batch_frequencies(db: Database, shape: str, queries: Sequence[tuple[int, list[str]]]) -> DataFrame:
+    """``(qid, term, freq)`` of all queries of a batch in one plan."""
+    facts, leaves = _batch_facts(db, shape, queries)
+    n = len(leaves)
+    out = facts.select("qid", F.explode("terms").alias("term"), product([F.col(f"n{i}") for i in range(n)]).alias("part"))
     each, all_rows = [], None
     for i, (key, rows) in enumerate(leaves):
-        others = F.lit(1).cast("bigint")
-        for j in range(n):
-            others = others * F.col(f"n{j}") if j != i else others
+        others = product([F.col(f"n{j}") for j in range(n) if j != i])
         each.append(F.struct(F.lit(i).alias("leaf"), F.col(key).alias("key"), others.alias("part")))
         tagged = rows.select("qid", F.lit(i).alias("leaf"), "key", "terms")
         all_rows = tagged if all_rows is None else all_rows.unionByName(tagged)
@@ -119,17 +134,32 @@ def batch_top(db: Database, shape: str, number: int, k: int = 10) -> DataFrame:
     return top_terms(batch_frequencies(db, shape, batch(shape, number)), k, by=("qid",))
 
 
-def generated_batch(db: Database, node: Node, keywords: Sequence[str], seed: int = 1, n: int = 10) -> list[list[str]]:
-    """Queries made as the experiments make them: join the relations, keep each relation's texts as a bag, and take one word
-    of each bag; words are taken in the order of a seeded hash, at most ``n`` of a bag reach the driver."""
-    from .operators.trees import compile_tree
+def generated_batch(db: Database, shape: str, n: int = 10, seed: int = 1) -> list[list[str]]:
+    """``n`` queries of a shape, made as the experiments make them: join the relations and take one word of each bag.
 
-    bags = [c for c in compile_tree(db, keywords, node).children]
+    The words of one query come from one joined result, each from the texts of its relation only, so each query has a
+    result. Line items are taken in the order of a seeded hash; only these few meet the other relations, and reach the driver.
+    """
+    node = {"star": star, "chain": chain, "mix": mix}[shape]()
+    facts = db.view("lineitem").select("l_partkey", "l_suppkey", "l_orderkey", "terms").dropna()
+    rows = F.broadcast(facts.withColumn("at", F.xxhash64(F.lit(seed), "l_orderkey", "l_partkey", "l_suppkey")).orderBy("at", "l_orderkey", "l_partkey", "l_suppkey").limit(8 * n).withColumnRenamed("terms", "t_lineitem"))
+    names = ["lineitem"]
+
+    def hang(rows: DataFrame, x: Node) -> DataFrame:
+        for c in x.children:
+            rows = rows.join(db.view(c.relation).withColumnRenamed("terms", f"t_{c.relation}"), F.col(c.on[0]) == F.col(c.on[1]))
+            names.append(c.relation)
+            rows = hang(rows, c)
+        return rows
+
+    rows = hang(rows, node)
     picks = []
-    for own, other, child in bags:
-        words = child.rows.select(F.explode(without(F.col("terms"), keywords)).alias("w")).distinct()
-        picks.append([r.w for r in words.orderBy(F.xxhash64(F.lit(seed), "w")).limit(n).collect()])
-    return [list(q) for q in zip(*picks)]
+    for h in HOLDERS[shape]:
+        others = F.flatten(F.array(*[F.col(f"t_{x}") for x in names if x != h]))
+        own = F.array_except(F.col(f"t_{h}"), others)
+        picks.append(F.get(own, F.pmod(F.xxhash64(F.lit(seed), "at", F.lit(h)), F.greatest(F.size(own), F.lit(1))).cast("int")).alias(h))
+    made = rows.select("at", "l_orderkey", "l_partkey", "l_suppkey", *picks).dropna().dropDuplicates(list(HOLDERS[shape]))
+    return [[r[h] for h in HOLDERS[shape]] for r in made.orderBy("at", *HOLDERS[shape]).limit(n).collect()]
 
 
 def workload_bags(db: Database) -> DataFrame:
@@ -147,4 +177,4 @@ def frequencies(db: Database, node: Node, keywords: Sequence[str]) -> DataFrame:
     return tree_frequencies(compile_tree(db, keywords, node), keywords)
 
 
-__all__ = ["batch", "batch_frequencies", "batch_top", "chain", "event_pair", "frequencies", "generated_batch", "mix", "order_root", "star", "sum_terms", "two_orders", "workload_bags"]
+__all__ = ["batch", "batch_frequencies", "batch_result_counts", "batch_top", "chain", "event_pair", "frequencies", "generated_batch", "mix", "order_root", "star", "sum_terms", "supplier_root", "two_orders", "workload_bags"]

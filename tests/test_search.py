@@ -4,6 +4,7 @@ import math
 import random
 
 import pytest
+from conftest import SF
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.errors import PySparkException
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 
 from termgrid import session, workloads
 from termgrid.catalog import Database, Relation, SchemaGraph, orders_schema
-from termgrid.operators import baselines, frequency, grid, measures, placement, trees, volumes
+from termgrid.operators import baselines, cells, frequency, grid, measures, placement, trees, volumes
 from termgrid.plans.networks import Node, classify, enumerate_networks, is_dead, is_minimal, is_total, rerooted
 from termgrid.sources import running_example
 
@@ -142,7 +143,7 @@ def test_shapes():
     assert classify(workloads.mix())[0] == "mix"
     assert classify(Node("documents", 3))[0] == "single"
     assert rerooted(workloads.star(), 1).size() == 4
-    assert trees.choose_merges({"a": 5, "b": 1, "c": 2}, [("a", "b"), ("b", "c")])[0] == ("b", "c")
+    assert trees.choose_merges({("a", "b"): 5.0, ("b", "c"): 2.0})[0] == ("b", "c")
 
 
 def test_schema_graph_refuses_self_edges_and_unknown_keys():
@@ -237,7 +238,27 @@ def test_sources_round_trip(spark, tmp_path):
 
 
 def test_generated_queries_take_a_word_of_each_bag(spark):
-    from conftest import SF
-
-    got = workloads.generated_batch(Database(spark, SF), workloads.star(0, 0, 0), [], n=3)
-    assert len(got) == 3 and all(len(q) == 3 for q in got)
+    for shape, holders in workloads.HOLDERS.items():
+        got = workloads.generated_batch(Database(spark, SF), shape, n=5)
+        assert len(got) == 5 and all(len(q) == len(holders) and all(q) for q in got)
+        counts = workloads.batch_result_counts(Database(spark, SF), shape, list(enumerate(got))).collect()
+        assert len(counts) == 5 and all(r.n_results > 0 for r in counts)
+
+
+def test_results_of_a_query_without_networks(spark):
+    got = session.keyword_results(Database(spark, SF), ["nowhere", "tobefound"], 3)
+    assert got.count() == 0 and got.columns == ["cn_id", "tuples", "terms"]
+
+
+def test_slots_count_like_a_full_join(spark, example):
+    want = sorted(map(tuple, baselines.straightforward(example).collect()))
+    for shares, slots in (([1, 1, 1], None), ([2, 2, 2], {c: c % 3 for c in range(8)}), ([3, 1, 2], None)):
+        for prune in (True, False):
+            got = cells.cell_frequencies(example, shares, slots, prune=prune)
+            assert sorted(map(tuple, got.collect())) == want
+    empty = volumes.Star(example.root.limit(0), example.keys, example.leaves)
+    assert cells.cell_frequencies(empty, [2, 2, 2]).count() == 0
+    null = volumes.Star(example.root.withColumn("A", F.lit(None).cast("string")), example.keys, example.leaves)
+    assert cells.cell_frequencies(null, [2, 2, 2]).count() == 0
+    with pytest.raises(ValueError):
+        cells.cell_frequencies(volumes.Star(example.root, example.keys, example.leaves, wide=True), [1, 1, 1])
