@@ -19,7 +19,7 @@ from .tokens import encoder, in_pieces
 #: Ids after which a shard is closed, bits for each key on a level of the index, most levels.
 SHARD_IDS, GAMMA, LEVELS = 1 << 20, 2, 40
 SHARD_ROWS = 2_000_000
-#: Steps of the key range in which keys meet shards, groups that share the keys asked of one shard, folders named in a filter.
+#: Steps of the key range in which keys meet shards, groups that share the keys asked of one shard, parts named in a filter.
 STEPS, GROUPS, MOST_PARTS = 1 << 16, 16, 10_000
 
 # A shard is one row of a Parquet table, so that any store Spark can reach will do: ``ids`` holds the ids of its documents
@@ -126,7 +126,7 @@ def write(docs: DataFrame, tokenizer: str, end: int, path: str) -> None:
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.monotonically_increasing_id().alias("place"))
     ordered = shipped(rows).repartitionByRange("doc_id", "place").sortWithinPartitions("doc_id", "place").select("doc_id", "text")
-    ordered.mapInArrow(run, SCHEMA).write.mode("errorifexists").option("compression", "zstd").partitionBy("part").parquet(path)
+    ordered.mapInArrow(run, SCHEMA).write.mode("errorifexists").option("compression", "zstd").parquet(path)
 
 
 def _index(batch: pa.RecordBatch, i: int) -> tuple[Index, np.ndarray, np.ndarray, np.ndarray, memoryview]:
@@ -199,8 +199,8 @@ def _by_steps(wanted: DataFrame, directory: DataFrame) -> DataFrame:
 def lookup(spark: SparkSession, path: str, keys: DataFrame) -> DataFrame:
     """``doc_id, ids`` (array of long) and ``ids_crc32`` for each document whose id is in ``keys``; unknown keys give no row.
 
-    The directory (one row a shard; sent to all up to ``SHARD_ROWS``, else joined) tells the shards of a key; their
-    folders alone are read, as ``part`` is a partition of the table. In a shard the index gives the place of a key in a
+    The directory (one row a shard; sent to all up to ``SHARD_ROWS``, else joined) tells the shards of a key. A file holds
+    one ``part``, so a filter on it, pushed down to the files' statistics, opens only those asked for. In a shard the index gives the place of a key in a
     fixed number of probes; a key that it lacks is refused by the fingerprint, but for one in 2**32. Keys of one shard are
     dealt to ``GROUPS`` lists; a list holds no more keys than its shard has documents, as ids are distinct. Null keys find nothing.
     """

@@ -10,12 +10,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..shipping import shipped
-from .common import broadcast_below, checkpointed, components
+from .common import checkpointed, components
+from .shingles import mixed
 
-#: Chance that a pair at the threshold meets in no table; most tables.
-MISS, MOST_TABLES = 1e-6, 64
+#: Chance that a pair at the threshold meets in no table; tables follow from it, however many these are.
+MISS = 1e-6
 #: Rows of a bucket that one task compares; larger buckets are cut into parts, and pairs of parts go to tasks.
 BLOCK = 4096
+#: Names of tables in a bucket's number; least chance to meet in a table that is assumed.
+TABLE_NAMES, LEAST_MET = 1 << 10, 0.01
 #: Runs of rows up to this length are compared without a matrix.
 SHORT_RUN = 48
 #: Buckets for each vector that the number of rotations aims at.
@@ -54,18 +57,22 @@ def codes(unit: np.ndarray, tables: int, turns: int) -> np.ndarray:
                 best = size.argmax(1)
                 put[:, k] = best * 2 + (y[rows, best] > 0)
                 size[rows, best] = -1
+        # a bucket is named by the length, the table and the vertices: exactly where they fit 64 bits, by their hash else
         weight = (2 * d) ** np.arange(turns)
         base = own @ weight
-        top = (dim * MOST_TABLES + t) * (2 * d) ** turns
-        out[:, t, 0] = base + top
-        out[:, t, 1:] = base[:, None] + (other - own) * weight + top
+        cells = np.concatenate((base[:, None], base[:, None] + (other - own) * weight), 1)
+        if (dim + 1) * TABLE_NAMES * (2 * d) ** turns < 2**63:
+            out[:, t] = cells + (dim * TABLE_NAMES + t) * (2 * d) ** turns
+        else:
+            out[:, t] = mixed(mixed(cells.view(np.uint64)) ^ np.uint64(dim << 20 | t)).view(np.int64)
     return out.reshape(n, -1)
 
 
 def plan(vectors: int, dim: int, cosine: float) -> tuple[int, int]:
     """Tables and rotations in each: ``SPREAD`` buckets for each vector, and tables enough for the wanted recall.
 
-    The chance that a pair at the threshold meets in one table is measured on random pairs.
+    The chance that a pair at the threshold meets in one table is measured on random pairs. Turns end at 6, which makes
+    buckets larger, not recall smaller.
     """
     d = 1 << max(1, (dim - 1).bit_length())
     turns = min(6, max(2, math.ceil(math.log(max(vectors, 2) * SPREAD) / math.log(2 * d))))
@@ -78,7 +85,7 @@ def plan(vectors: int, dim: int, cosine: float) -> tuple[int, int]:
     near = a * cosine + b * math.sqrt(max(0.0, 1 - cosine * cosine))
     p, q = (codes(x, 4, turns).reshape(-1, 4, 1 + turns) for x in (a, near / np.linalg.norm(near, axis=1)[:, None]))
     met = ((p[:, :, :1] == q) | (q[:, :, :1] == p)).any(2).mean()
-    return (MOST_TABLES if met <= 0 else 1 if met >= 1 else min(MOST_TABLES, max(4, math.ceil(math.log(MISS) / math.log(1 - met))))), turns
+    return (1 if met >= 1 else max(4, math.ceil(math.log(MISS) / math.log1p(-max(met, LEAST_MET))))), turns
 
 
 def _owned(cx: np.ndarray, cy: np.ndarray, bucket: np.ndarray, width: int) -> np.ndarray:

@@ -1,5 +1,6 @@
 """The corpus operators against brute force and on awkward rows."""
 
+import math
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -118,14 +119,14 @@ def test_token_shards(spark, odd, empty, tmp_path, monkeypatch):
     assert binary_output.read_digests(spark, path + "-empty").count() == 0
 
 
-def test_lookup_reads_the_folders_asked_for_only(spark, tmp_path):
+def test_lookup_opens_the_parts_asked_for_only(spark, tmp_path):
     path = str(tmp_path / "many")
     docs = spark.range(400).select(F.col("id").alias("doc_id"), F.concat(F.lit("text of "), F.col("id")).alias("text"))
     binary_output.write(docs, tokenizers.path("word_bpe_49k.json"), 2, path)
     found = binary_output.lookup(spark, path, docs.where("doc_id = 7"))
     assert [r.doc_id for r in found.collect()] == [7]
     plan = found._jdf.queryExecution().executedPlan().toString()
-    assert re.search(r"PartitionFilters: \[[^]]*part", plan), plan
+    assert re.search(r"PushedFilters: [^\n]*(In|EqualTo)\(part", plan), plan
     got = sorted(tuple(r) for r in QUERIES["token_shard_lookup"](spark, SF).collect())
     want = sorted((r.doc_id, r.n_tokens, r.ids_crc32) for r in QUERIES["op2_token_shards"](spark, SF).where("doc_id % 20 = 0").collect())
     assert got == want
@@ -212,6 +213,34 @@ def test_vectors_against_brute_force(spark, monkeypatch):
     assert vector_dedup.near_duplicate_vectors(df.limit(0)).count() == 0
 
 
+def test_planned_tables_reach_their_recall():
+    for vectors, dim in ((10**4, 64), (10**6, 128), (10**11, 64), (10**11, 384)):
+        tables, turns = vector_dedup.plan(vectors, dim, 0.95)
+        rng = np.random.default_rng(11)
+        a = rng.normal(size=(300, dim))
+        b = rng.normal(size=(300, dim))
+        a /= np.linalg.norm(a, axis=1)[:, None]
+        b -= (a * b).sum(1)[:, None] * a
+        b /= np.linalg.norm(b, axis=1)[:, None]
+        p, q = (vector_dedup.codes(x, tables, turns).reshape(300, tables, -1) for x in (a, 0.95 * a + math.sqrt(1 - 0.95**2) * b))
+        met = ((p[:, :, :1] == q) | (q[:, :, :1] == p)).any((1, 2))
+        assert met.mean() > 0.99, (vectors, dim, tables, turns)
+
+
+def test_planted_pairs_among_many_vectors(spark):
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=(20_000, 64))
+    base /= np.linalg.norm(base, axis=1)[:, None]
+    side = rng.normal(size=(500, 64))
+    side -= (side * base[:500]).sum(1)[:, None] * base[:500]
+    side /= np.linalg.norm(side, axis=1)[:, None]
+    cos = rng.uniform(0.951, 0.99, 500)[:, None]
+    rows = np.concatenate((base, cos * base[:500] + np.sqrt(1 - cos**2) * side))
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(rows)], "vec_id long, embedding array<double>")
+    got = {r.vec_id: (r.n_links, r.component_id) for r in vector_dedup.near_duplicate_vectors(df).where("n_links > 0").collect()}
+    assert got == {k: (1, i) for i in range(500) for k in (i, 20_000 + i)}
+
+
 # ---- 4 documents -----------------------------------------------------------------------------------------------------
 
 
