@@ -11,10 +11,61 @@ def test_query_equals_sql(name, same):
     same(QUERIES[name], ORACLES[name])
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES)))
-def test_query_without_sql_runs(name, spark):
-    rows = QUERIES[name](spark, SF).collect()
-    assert isinstance(rows, list)
+def _rows(name, spark):
+    return [r.asDict() for r in QUERIES[name](spark, SF).collect()]
+
+
+def _n(spark, table, what="*"):
+    return spark.read.parquet(f"{SF}/{table}.parquet").selectExpr(f"count({what}) as n").first().n
+
+
+def test_every_query_without_sql_is_tested():
+    assert set(QUERIES) - set(ORACLES) == {"cn_list", "sample_simple_counts", "sample_stratified", "approx_distinct_keys", "approx_top_terms", "generated_batches", "skew_experiment", "placement_simple_sample"}
+
+
+def test_networks_of_the_star_query(spark):
+    got = _rows("cn_list", spark)
+    # parts, suppliers and orders meet in line items only, so the star is the one network of four nodes, and the smallest
+    assert got[0]["shape"] == "star" and got[0]["size"] == 4 and all(r["size"] <= 5 for r in got)
+    assert [r["cn_id"] for r in got] == list(range(len(got))) and len({r["network"] for r in got}) == len(got)
+
+
+def test_samples_are_near_their_fractions(spark):
+    orders = spark.read.parquet(f"{SF}/orders.parquet")
+    n = _rows("sample_simple_counts", spark)[0]["n"]
+    assert abs(n - 0.1 * orders.count()) < 5 * (0.09 * orders.count()) ** 0.5
+    per = {r["o_orderstatus"]: r["count"] for r in orders.groupBy("o_orderstatus").count().collect()}
+    for r in _rows("sample_stratified", spark):
+        p = {"O": 0.1, "F": 0.2, "P": 0.3}[r["o_orderstatus"]]
+        assert abs(r["n"] - p * per[r["o_orderstatus"]]) < 5 * (p * (1 - p) * per[r["o_orderstatus"]]) ** 0.5
+
+
+def test_approximate_answers_are_near_the_exact_ones(spark):
+    got = _rows("approx_distinct_keys", spark)[0]
+    assert abs(got["suppliers"] / _n(spark, "lineitem", "distinct l_suppkey") - 1) < 0.1
+    assert abs(got["parts"] / _n(spark, "lineitem", "distinct l_partkey") - 1) < 0.1
+    exact = {r["term"]: r["n"] for r in _rows("wordcount_documents", spark)}
+    top = _rows("approx_top_terms", spark)
+    least = sorted(exact.values())[-10]
+    assert len(top) == 10 and all(exact[r["term"]] >= 0.95 * least and abs(r["count"] / exact[r["term"]] - 1) < 0.05 for r in top)
+
+
+def test_generated_queries_have_results(spark):
+    got = _rows("generated_batches", spark)
+    assert {(r["shape"], r["qid"]) for r in got} == {(s, q) for s in ("star", "chain", "mix") for q in range(10)}
+    assert all(r["n_results"] > 0 for r in got)
+
+
+def test_uneven_placement_balances_the_slots(spark):
+    got = {(r["batch"], r["cells"]): r for r in _rows("skew_experiment", spark)}
+    assert set(got) == {(b, n) for b in ("Q1", "Q4", "Q5") for n in (8, 27)}
+    for b in ("Q1", "Q4", "Q5"):
+        # the more cells, the more copies, and the nearer the hottest slot is to the mean
+        assert got[b, 27]["records"] > got[b, 8]["records"] and got[b, 27]["ratio"] < got[b, 8]["ratio"] and got[b, 27]["facts"] == got[b, 8]["facts"]
+    sampled, even = _rows("placement_simple_sample", spark), _rows("placement_one_each", spark)
+    assert sum(r["facts"] for r in sampled) == sum(r["facts"] for r in even)
+    peak = lambda rows: max(r["facts"] for r in rows) / sum(r["facts"] for r in rows)
+    assert peak(sampled) < peak(even)
 
 
 def test_entry_has_rows(spark):
