@@ -7,11 +7,13 @@ import math
 import re
 from collections import deque
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..shipping import shipped
+from .common import unused
 
 #: Elements whose text is never shown (with markup inside, or raw up to their end tag), elements that start a
 #: block, elements without an end.
@@ -29,19 +31,25 @@ AGAINST = re.compile(r"(?<![a-z])(ads?|advert\w*|promo\w*|sponsor\w*|banner|nav\
 FOR = re.compile(r"(?<![a-z])(article|content|main|post|story|entry|body|text)(?![a-z])")
 _TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>\"']|\"[^\"<]*\"|'[^'<]*'|[\"'])*)(?:>|$|(?=<))|<[!?][^>]*(?:>|$)", re.S)
 _NAMES = re.compile(r"(?:^|\s)(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
-#: Strength of the edges between neighbours, by the elements they share, and costs of the classifier.
+#: Strength of the edges between neighbours, by the elements they share.
 NEXT_TO, SAME_PARENT, FAR = 1.2, 2.0, 0.15
+#: Weights of what a block itself shows (see ``traits``) before training: constant, words, sentence end, link share, text
+#: element, list or table cell, copyright. Training keeps near them by ``HOLD``, the more so the fewer blocks it has.
+PRIOR, HOLD = (-0.9, 0.9, 1.0, -4.0, 0.8, -0.5, -2.0), 20.0
+#: Pages, about, on which the classifier is trained; the most labelled blocks of a class that weigh against ``PRIOR``.
+SAMPLE, EVIDENCE = 2000, 400.0
 
 
 class Place:
     """An open block element: its parent, its depth, and what the elements from the root down to it say of their content."""
 
-    __slots__ = ("above", "article", "depth", "lean", "name")
+    __slots__ = ("above", "article", "boiler", "depth", "lean", "name")
 
     def __init__(self, above: Place | None, name: str, names: str):
         self.above, self.name = above, name
         self.depth = above.depth + 1 if above else 0
         self.article = bool(above and above.article) or name == "article"
+        self.boiler = bool(above and above.boiler) or name in AGAINST_TAG
         self.lean = above.lean if above else 0.0
         if name in AGAINST_TAG:
             # a header inside an article may hold its title
@@ -52,6 +60,7 @@ class Place:
             # names at the root speak of the layout, not of the block
             if name not in ("body", "html") and AGAINST.search(names):
                 self.lean -= 8.0
+                self.boiler = True
             elif FOR.search(names):
                 self.lean += 1.2
 
@@ -178,20 +187,56 @@ def blocks(page: str) -> list[tuple[str, int, Place | None]]:
     return out
 
 
-def leaning(text: str, linked: int, place: Place | None) -> float:
-    """Log-odds that a block is content: a linear classifier of its words, sentences, links and the elements around it."""
-    words = text.count(" ") + 1
-    score = -0.6 + 0.9 * math.log1p(min(words, 80)) / math.log(10) + (0.7 if text[-1] in ".!?:…\"”»" else -0.3)
-    score -= 4.0 * min(1.0, linked / max(1, len(text)))
-    if place is not None:
-        score += place.lean
-        if place.name in ("h1", "h2", "h3", "h4", "h5", "h6", "p", "pre", "blockquote", "figcaption"):
-            score += 0.8
-        if place.name in ("li", "td", "th", "dt"):
-            score -= 0.5
-    if re.match(r"(©|\(c\)|copyright\b|all rights reserved)", text, re.I):
-        score -= 2.0
-    return score
+def traits(text: str, linked: int, place: Place | None) -> tuple[int, int, int, int, int, int]:
+    """What a block itself shows, in few values: words (80 at most), sentence end, tenths within links, text element, list
+    or table cell, copyright."""
+    name = place.name if place is not None else ""
+    return (
+        min(text.count(" ") + 1, 80),
+        int(text[-1] in ".!?:…\"”»"),
+        round(10 * min(1.0, linked / max(1, len(text)))),
+        int(name in ("h1", "h2", "h3", "h4", "h5", "h6", "p", "pre", "blockquote", "figcaption")),
+        int(name in ("li", "td", "th", "dt")),
+        int(re.match(r"(©|\(c\)|copyright\b|all rights reserved)", text, re.I) is not None),
+    )
+
+
+def leaning(text: str, linked: int, place: Place | None, weights: tuple[float, ...] = PRIOR) -> float:
+    """Log-odds that a block is content: a linear classifier of what it shows, and what the elements around it say."""
+    words, ends, links, *rest = traits(text, linked, place)
+    shown = (1.0, math.log1p(words) / math.log(10), ends, links / 10, *rest)
+    return sum(w * x for w, x in zip(weights, shown, strict=True)) + (place.lean if place is not None else 0.0)
+
+
+def fit(cells: list[tuple[tuple[int, ...], bool, int]]) -> tuple[float, ...]:
+    """Weights from ``(traits, is content, blocks)``: logistic regression with a Gaussian prior at ``PRIOR``, by Newton steps.
+
+    Both classes weigh the same, as the elements around a block are added to the log-odds afterwards: together as many
+    blocks as the smaller class has, ``EVIDENCE`` at most, so a few pages move the weights little. Without blocks of both
+    classes they stay at ``PRIOR``.
+    """
+    prior = np.array(PRIOR)
+    n = [sum(c for _, y, c in cells if y == side) for side in (False, True)]
+    if not all(n):
+        return PRIOR
+    cells = sorted(cells)
+    t = np.array([c[0] for c in cells], float)
+    x = np.column_stack((np.ones(len(t)), np.log1p(t[:, 0]) / math.log(10), t[:, 1], t[:, 2] / 10, t[:, 3:]))
+    y = np.array([c[1] for c in cells], float)
+    weight = np.array([c[2] * min(*n, EVIDENCE) / n[c[1]] for c in cells], float)
+    w = prior.copy()
+    loss = lambda w: float((weight * np.logaddexp(0, np.where(y == 1, -1, 1) * (x @ w))).sum() + HOLD / 2 * ((w - prior) ** 2).sum())
+    for _ in range(50):
+        p = 1 / (1 + np.exp(-(x @ w)))
+        slope = x.T @ (weight * (p - y)) + HOLD * (w - prior)
+        step = np.linalg.solve((x * (weight * p * (1 - p))[:, None]).T @ x + HOLD * np.eye(len(w)), slope)
+        size = 1.0
+        while size > 1e-6 and loss(w - size * step) > loss(w):
+            size /= 2
+        w = w - size * step
+        if np.abs(step).max() < 1e-9:
+            break
+    return tuple(float(v) for v in w)
 
 
 def smoothness(a: Place | None, b: Place | None) -> float:
@@ -264,12 +309,12 @@ def min_cut(scores: list[float], ties: list[tuple[int, int, float]]) -> list[boo
                 a = to[path.pop() ^ 1]
 
 
-def main_text(page: str | None) -> str:
+def main_text(page: str | None, weights: tuple[float, ...] = PRIOR) -> str:
     """Content blocks joined by an empty line; empty for null and empty pages and pages without content."""
     found = blocks(page or "")
     if not found:
         return ""
-    scores = [leaning(*b) for b in found]
+    scores = [leaning(*b, weights) for b in found]
     ties = [(i, i + 1, smoothness(found[i][2], found[i + 1][2])) for i in range(len(found) - 1)]
     last: dict[int, int] = {}
     for i, (_, _, place) in enumerate(found):
@@ -281,17 +326,50 @@ def main_text(page: str | None) -> str:
     return "\n\n".join(b[0] for b, kept in zip(found, min_cut(scores, ties)) if kept)
 
 
-def extract(pages: DataFrame) -> DataFrame:
+def _labelled(batches):
+    """``traits``, class and number of the blocks whose elements tell their class, summed over a batch."""
+    for batch in batches:
+        cells: dict[tuple, int] = {}
+        for page in batch.column(0).to_pylist():
+            for text, linked, place in blocks(page):
+                if place is not None and (place.boiler or place.article):
+                    key = (traits(text, linked, place), not place.boiler)
+                    cells[key] = cells.get(key, 0) + 1
+        yield pa.RecordBatch.from_arrays([pa.array([list(k[0]) for k in cells], pa.list_(pa.int32())), pa.array([k[1] for k in cells], pa.bool_()), pa.array(list(cells.values()), pa.int64())], ["traits", "content", "n"])
+
+
+def train(pages: DataFrame, sample: int = SAMPLE) -> tuple[float, ...]:
+    """Weights of the classifier, fitted on the pages themselves.
+
+    Pages carry no labels, but elements do: a block inside ``article`` and nothing that speaks against content counts as
+    content, one inside ``nav``, ``footer`` or an element of such a name as boilerplate; other blocks don't train. What a
+    block itself shows is learned from those, so that it decides where elements say nothing. About ``sample`` pages, chosen
+    by a hash of the row, are used, copies of a row once. Only counts of equal traits reach the driver, at most some 20000.
+    """
+    filled = pages.where("html is not null and html <> ''")
+    n = filled.count()
+    key, page = unused("page_key", pages), unused("page_html", pages)
+    rows = filled.select(F.xxhash64(F.col("page_id").cast("string"), F.col("url").cast("string"), "html").alias(key), F.col("html").alias(page))
+    if n > sample:
+        rows = rows.where(F.pmod(F.col(key), F.lit(1 << 30)) < int((1 << 30) * sample / n))
+    rows = rows.groupBy(key).agg(F.min(page).alias(page)).select(page)
+    cells = shipped(rows).mapInArrow(_labelled, "traits array<int>, content boolean, n long").groupBy("traits", "content").agg(F.sum("n").alias("n"))
+    return fit([(tuple(r.traits), r.content, r.n) for r in cells.collect()])
+
+
+def extract(pages: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """``page_id, url, text, n_chars`` of each row of ``pages``.
 
-    Blocks of a page are nodes; a linear classifier's log-odds tie each to the content or the boilerplate terminal,
-    neighbours in the page and under one element are tied to each other, and a maximum flow finds the cheapest cut. White
-    space within a block is one space. Null and empty html gives an empty text. Rows keep their number and ids as they are.
+    Blocks of a page are nodes; a linear classifier's log-odds, trained on about ``sample`` pages, tie each to the content
+    or the boilerplate terminal, neighbours in the page and under one element are tied to each other, and a maximum flow
+    finds the cheapest cut. White space within a block is one space. Null and empty html gives an empty text and doesn't
+    train. Rows keep their number and ids as they are; copies of a row have one text. Other columns don't matter.
     """
+    weights = train(pages, sample)
 
     def run(batches):
         for batch in batches:
-            texts = [main_text(h) for h in batch.column(2).to_pylist()]
+            texts = [main_text(h, weights) for h in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     return shipped(pages).select(F.col("page_id").cast("long").alias("page_id"), "url", "html").mapInArrow(run, "page_id long, url string, text string, n_chars long")

@@ -6,6 +6,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from conftest import SF
 from pyspark.sql import functions as F
@@ -381,6 +382,57 @@ def test_pages_odd_rows(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+def _page(rng, i):
+    text = lambda n: " ".join("".join(rng.choice(list("aeinorst"), int(rng.integers(2, 8)))) for _ in range(n)) + "."
+    menu = "".join(f"<li><a href=/{k}>{text(2)[:-1]}</a>" for k in range(6))
+    inner = "".join(f"<p>{text(int(rng.integers(15, 60)))}</p>" for _ in range(4))
+    return f"<nav><ul>{menu}</ul></nav><div class=ad>{text(6)}</div><article><h1>{text(5)[:-1]}</h1>{inner}</article><footer>&copy; {i} {text(4)}</footer>", inner
+
+
+def _cells(pages):
+    return [((*t,), y, n) for b in html_text._labelled([pa.RecordBatch.from_arrays([pa.array(pages)], ["html"])]) for t, y, n in zip(*(c.to_pylist() for c in b.columns), strict=True)]
+
+
+def test_page_classifier_learns():
+    rng = np.random.default_rng(5)
+    pages = [_page(rng, i)[0] for i in range(120)]
+    learned = html_text.fit(_cells(pages[:60]))
+
+    def loss(weights, cells):
+        total = {True: 0.0, False: 0.0}
+        n = {True: 0, False: 0}
+        for t, y, k in cells:
+            z = float(np.dot(weights, (1, math.log1p(t[0]) / math.log(10), t[1], t[2] / 10, *t[3:])))
+            total[y] += k * float(np.logaddexp(0, -z if y else z))
+            n[y] += k
+        return total[True] / n[True] + total[False] / n[False]
+
+    held_out = _cells(pages[60:])
+    assert loss(learned, held_out) < loss(html_text.PRIOR, held_out)
+    # no label, or labels of one class, leave the weights as they are; the order of the counts does not matter
+    assert html_text.fit([]) == html_text.fit([((5, 1, 0, 1, 0, 0), True, 9)]) == html_text.PRIOR
+    assert html_text.fit(_cells(pages[:60])[::-1]) == pytest.approx(learned, abs=1e-9)
+
+
+def test_page_training_over_rows(spark):
+    rng = np.random.default_rng(6)
+    made = [_page(rng, i) for i in range(40)]
+    rows = [(i, "u", p) for i, (p, _) in enumerate(made)]
+    schema = "page_id long, url string, html string"
+    df = spark.createDataFrame(rows, schema)
+    weights = html_text.train(df)
+    assert weights == pytest.approx(html_text.fit(_cells([p for p, _ in made])), abs=1e-9)
+    # copies of a row, null and empty pages don't train; partitions don't matter
+    more = spark.createDataFrame(rows + [rows[3]] * 500 + [(77, "u", None), (78, "u", "")], schema).repartition(7)
+    assert html_text.train(more) == pytest.approx(weights, abs=1e-9)
+    assert html_text.train(df.limit(0)) == html_text.PRIOR
+    clash = df.withColumns({"page_key": F.lit(1), "page_html": F.lit("x"), "traits": F.lit("t"), "n": F.lit(0), "content": F.lit(0)})
+    assert html_text.train(clash) == pytest.approx(weights, abs=1e-9)
+    assert html_text.train(df, sample=5) != weights
+    for r in html_text.extract(clash).collect():
+        assert r.text.split("\n\n")[1:] == made[r.page_id][1].removeprefix("<p>").removesuffix("</p>").split("</p><p>")
+
+
 # ---- 8 quality -------------------------------------------------------------------------------------------------------
 
 
