@@ -23,6 +23,8 @@ TABLE_NAMES, LEAST_MET = 1 << 10, 0.01
 SHORT_RUN = 48
 #: Buckets for each vector that the number of rotations aims at.
 SPREAD = 16
+#: Least length of a sketch, and what rounding to single precision may take from an inner product of sketches.
+LEAST_SKETCH, ROUNDING = 24, 1e-4
 SEED = 29
 
 
@@ -98,57 +100,117 @@ def _owned(cx: np.ndarray, cy: np.ndarray, bucket: np.ndarray, width: int) -> np
     return at[np.arange(len(at)), first] == bucket
 
 
-def _matches(t: pa.Table, cosine: float, width: int) -> tuple[np.ndarray, np.ndarray]:
-    """Row numbers of the linked pairs that belong to the blocks of ``t``, whose rows are sorted by block."""
+def sketches(unit: np.ndarray) -> np.ndarray:
+    """Short vectors whose inner products are never below those of the rows, which have length 1.
+
+    A row is projected onto a quarter of its dimensions, ``LEAST_SKETCH`` at least, of a random orthonormal basis; the
+    length of what is left stands as one component more. By the Cauchy-Schwarz inequality the products of what is left are
+    at most those of the lengths.
+    """
+    dim = unit.shape[1]
+    kept = min(dim, max(LEAST_SKETCH, dim // 4))
+    basis = np.linalg.qr(np.random.default_rng([SEED, dim, 1]).normal(size=(dim, kept)))[0]
+    short = unit @ basis
+    rest = np.sqrt(np.maximum(0.0, 1 - (short * short).sum(1)))
+    return np.concatenate((short, rest[:, None]), 1).astype(np.float32)
+
+
+def _meeting(t: pa.Table, column: str, least: float):
+    """Row numbers ``(a, b)`` of pairs that meet in a block of ``t`` with an inner product of ``column`` of ``least`` or more.
+
+    Rows are sorted by block; at least one of a pair is at home in the bucket.
+    """
     n = len(t)
     home, part, lo, hi, bucket, ids = (t[c].to_numpy() for c in ("home", "part", "lo", "hi", "bucket", "id"))
-    unit = t["unit"].combine_chunks().flatten().to_numpy().reshape(n, -1)
-    code = t["codes"].combine_chunks().flatten().to_numpy().reshape(n, -1)
+    vector = t[column].combine_chunks().flatten().to_numpy().reshape(n, -1)
     new = np.ones(n, bool)
     new[1:] = (bucket[1:] != bucket[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])
     starts = np.flatnonzero(new)
     run = np.cumsum(new) - 1
     sizes = np.diff(np.append(starts, n))
     large = (sizes > SHORT_RUN) | (lo[starts] != hi[starts])
-    firsts, seconds = [], []
-
-    def keep(a: np.ndarray, b: np.ndarray) -> None:
-        for j in range(0, len(a), 50_000):
-            x, y = a[j : j + 50_000], b[j : j + 50_000]
-            mine = _owned(code[x], code[y], bucket[x], width)
-            firsts.append(x[mine])
-            seconds.append(y[mine])
-
     # short runs: neighbours at each distance, over all runs at once
     short = ~large[run]
     for step in range(1, int(sizes[~large].max(initial=1))):
         a = np.flatnonzero(short[:-step] & (run[:-step] == run[step:]) & (home[:-step] | home[step:]) & (ids[:-step] != ids[step:]))
         for j in range(0, len(a), 20_000):
             x = a[j : j + 20_000]
-            near = np.einsum("ij,ij->i", unit[x], unit[x + step]) >= cosine
-            keep(x[near], x[near] + step)
+            near = np.einsum("ij,ij->i", vector[x], vector[x + step]) >= least
+            yield x[near], x[near] + step
     for k in np.flatnonzero(large):
         rows = np.arange(starts[k], starts[k] + sizes[k])
         left, right = rows[part[rows] == lo[starts[k]]], rows[part[rows] == hi[starts[k]]]
         for i in range(0, len(left), 512):
-            r, c = np.nonzero(unit[left[i : i + 512]] @ unit[right].T >= cosine)
+            r, c = np.nonzero(vector[left[i : i + 512]] @ vector[right].T >= least)
             r, c = left[i : i + 512][r], right[c]
             fit = (home[r] | home[c]) & ((r < c) | (lo[starts[k]] != hi[starts[k]])) & (ids[r] != ids[c])
-            keep(r[fit], c[fit])
+            yield r[fit], c[fit]
+
+
+def _matches(t: pa.Table, cosine: float, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Row numbers of the linked pairs that belong to the blocks of ``t``, whose rows are sorted by block."""
+    bucket = t["bucket"].to_numpy()
+    code = t["codes"].combine_chunks().flatten().to_numpy().reshape(len(t), -1)
+    firsts, seconds = [], []
+    for a, b in _meeting(t, "unit", cosine):
+        for j in range(0, len(a), 50_000):
+            x, y = a[j : j + 50_000], b[j : j + 50_000]
+            mine = _owned(code[x], code[y], bucket[x], width)
+            firsts.append(x[mine])
+            seconds.append(y[mine])
     return tuple(np.concatenate(x) if x else np.zeros(0, np.int64) for x in (firsts, seconds))
 
 
+def _by_length(t: pa.Table, column: str):
+    """``t`` cut by the lengths of the vectors of ``column``, with the row numbers of each cut."""
+    lengths = np.diff(t[column].combine_chunks().offsets.to_numpy())
+    for length in np.unique(lengths):
+        rows = np.flatnonzero(lengths == length)
+        yield rows, t if len(rows) == len(t) else t.take(pa.array(rows))
+
+
+def _whole_blocks(answer):
+    """``answer`` of tables of whole blocks, over batches sorted by block."""
+
+    def run(batches):
+        held = None
+        for batch in batches:
+            t = pa.Table.from_batches([batch])
+            t = pa.concat_tables([held, t]) if held is not None else t
+            key = [t[c].to_numpy() for c in ("bucket", "lo", "hi")]
+            last = len(t) - int(np.logical_and.reduce([k == k[-1] for k in key])[::-1].argmin() or len(t)) if len(t) else 0
+            if last:
+                yield answer(t.slice(0, last).combine_chunks())
+            held = t.slice(last)
+        if held is not None and len(held):
+            yield answer(held.combine_chunks())
+
+    return run
+
+
+def _possible(cosine: float):
+    """Over rows sorted by block: those that may have a link in their block, by their sketches. None that has is left out."""
+
+    def answer(t: pa.Table) -> pa.RecordBatch:
+        some = np.zeros(len(t), bool)
+        for rows, cut in _by_length(t, "sketch"):
+            for a, b in _meeting(cut, "sketch", cosine - ROUNDING):
+                some[rows[a]] = some[rows[b]] = True
+        kept = t.drop_columns(["sketch"]).filter(pa.array(some))
+        return pa.RecordBatch.from_arrays([c.combine_chunks() for c in kept.columns], schema=kept.schema)
+
+    return _whole_blocks(answer)
+
+
 def _compare(cosine: float, width: int):
     """Over rows sorted by block: sums of linked copies and a forest of the links, for whole blocks at a time."""
 
     def answer(t: pa.Table) -> pa.RecordBatch:
         ids, where = np.unique(t["id"].to_numpy(), return_inverse=True)
         links, label = np.zeros(len(ids), np.int64), np.arange(len(ids))
-        lengths = np.diff(t["unit"].combine_chunks().offsets.to_numpy())
         weight = t["copies"].to_numpy()
-        for dim in np.unique(lengths):
-            rows = np.flatnonzero(lengths == dim)
-            r, c = _matches(t if len(rows) == len(t) else t.take(pa.array(rows)), cosine, width)
+        for rows, cut in _by_length(t, "unit"):
+            r, c = _matches(cut, cosine, width)
             r, c = rows[r], rows[c]
             a, b = where[r], where[c]
             np.add.at(links, a, weight[c])
@@ -164,29 +226,17 @@ def _compare(cosine: float, width: int):
         some = np.flatnonzero(links)
         return pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(links[some]), pa.array(ids[label[some]])], ["id", "links", "root"])
 
-    def run(batches):
-        held = None
-        for batch in batches:
-            t = pa.Table.from_batches([batch])
-            t = pa.concat_tables([held, t]) if held is not None else t
-            key = [t[c].to_numpy() for c in ("bucket", "lo", "hi")]
-            last = len(t) - int(np.logical_and.reduce([k == k[-1] for k in key])[::-1].argmin() or len(t)) if len(t) else 0
-            if last:
-                yield answer(t.slice(0, last).combine_chunks())
-            held = t.slice(last)
-        if held is not None and len(held):
-            yield answer(held.combine_chunks())
-
-    return run
+    return _whole_blocks(answer)
 
 
 def near_duplicate_vectors(vectors: DataFrame, cosine: float = 0.95) -> DataFrame:
     """``vec_id``, ``n_links``, ``component_id`` and ``kept`` for each row.
 
     Equal vectors form a class, hashed once. A class is listed in its own bucket of each table and, as a probe, in the
-    buckets of its second-best vertices; rows of a bucket are compared in blocks in double precision, each pair counting
-    in the first bucket where it meets. A block returns sums and a spanning forest, never pairs. Buckets over ``BLOCK``
-    rows are cut into parts whose pairs are spread over tasks.
+    buckets of its second-best vertices. Sketches go to the buckets first: rows whose sketches rule out every link in
+    their block leave it, so that whole vectors only go where links are likely. The rows that stay are compared in blocks
+    in double precision, each pair counting in the first bucket where it meets. A block returns sums and a spanning
+    forest, never pairs. Buckets over ``BLOCK`` rows are cut into parts whose pairs are spread over tasks.
 
     Vectors that are null, empty, zero or hold null or non-finite components have no links and are kept. Vectors of other
     lengths link with nothing. Rows with a null ``vec_id`` count as partners of their copies only; their component and
@@ -213,16 +263,18 @@ def near_duplicate_vectors(vectors: DataFrame, cosine: float = 0.95) -> DataFram
                     x = x / np.abs(x).max(1)[:, None]
                     x = x / np.linalg.norm(x, axis=1)[:, None]
                     pack = lambda m: pa.FixedSizeListArray.from_arrays(pa.array(m.ravel()), m.shape[1]).cast(pa.list_(pa.from_numpy_dtype(m.dtype)))
-                    yield pa.RecordBatch.from_arrays([some.column(0), some.column(2), pack(x), pack(codes(x, tables, turns))], ["id", "copies", "unit", "codes"])
+                    yield pa.RecordBatch.from_arrays([some.column(0), some.column(2), pack(x), pack(codes(x, tables, turns)), pack(sketches(x))], ["id", "copies", "unit", "codes", "sketch"])
 
-    known = checkpointed(shipped(usable).select("id", "e", "copies").mapInArrow(hashed, "id long, copies long, unit array<double>, codes array<long>"))
+    known = checkpointed(shipped(usable).select("id", "e", "copies").mapInArrow(hashed, "id long, copies long, unit array<double>, codes array<long>, sketch array<float>"))
     cells = known.select("id", F.posexplode("codes").alias("pos", "bucket")).select("id", "bucket", (F.col("pos") % width == 0).alias("home"))
     useful = cells.groupBy("bucket").agg(F.count("*").alias("n"), F.max("home").alias("any")).where("n > 1 and any").select("bucket", "n")
     placed = cells.join(useful, "bucket").withColumn("parts", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
     blocks = placed.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("id", "bucket", "home", "part", F.least("part", "with").alias("lo"), F.greatest("part", "with").alias("hi"))
-    fat = blocks.join(known, "id")
-    schema = "id long, links long, root long"
-    found = checkpointed(fat.repartition("bucket", "lo", "hi").sortWithinPartitions("bucket", "lo", "hi").select("bucket", "lo", "hi", "part", "home", "id", "copies", "unit", "codes").mapInArrow(_compare(cosine, width), schema))
+    placing = "bucket", "lo", "hi"
+    short = blocks.join(known.select("id", "sketch"), "id").repartition(*placing).sortWithinPartitions(*placing).select(*placing, "part", "home", "id", "sketch")
+    possible = short.mapInArrow(_possible(cosine), "bucket long, lo int, hi int, part int, home boolean, id long")
+    whole = possible.join(known.select("id", "copies", "unit", "codes"), "id").repartition(*placing).sortWithinPartitions(*placing)
+    found = checkpointed(whole.select(*placing, "part", "home", "id", "copies", "unit", "codes").mapInArrow(_compare(cosine, width), "id long, links long, root long"))
     linked = components(found.select(F.col("id").alias("src"), F.col("root").alias("dst")))
     sums = found.groupBy("id").agg(F.sum("links").alias("links"))
     of = classes.join(sums, "id", "left").join(linked, F.col("id") == F.col("node"), "left").select("e", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("component", "id").alias("component"))

@@ -242,6 +242,23 @@ def test_planted_pairs_among_many_vectors(spark):
     assert got == {k: (1, i) for i in range(500) for k in (i, 20_000 + i)}
 
 
+@pytest.mark.parametrize("dim", [1, 3, 24, 64, 384])
+def test_sketches_never_hide_a_link(dim):
+    rng = np.random.default_rng(dim)
+    x = rng.normal(size=(200, dim))
+    x[100:] = x[:100] + rng.normal(size=(100, dim)) * rng.choice([0, 1e-9, 0.05, 0.3], size=(100, 1))
+    x[::17] = np.eye(dim)[rng.integers(0, dim, len(x[::17]))]
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    short = vector_dedup.sketches(x).astype(float)
+    assert short.shape[1] < max(26, dim / 3)
+    assert (short @ short.T >= x @ x.T - vector_dedup.ROUNDING).all()
+    if dim >= 64:
+        # and they part most vectors that have nothing in common
+        y = rng.normal(size=(300, dim))
+        y = vector_dedup.sketches(y / np.linalg.norm(y, axis=1)[:, None])
+        assert (np.triu(y @ y.T, 1) >= 0.95).sum() < 0.01 * 300 * 299 / 2
+
+
 # ---- 4 documents -----------------------------------------------------------------------------------------------------
 
 
