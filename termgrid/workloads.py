@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .catalog import Database
-from .operators.frequency import sum_terms, top_terms
+from .operators.frequency import meet_texts, one_pass, sum_terms, top_terms
 from .operators.volumes import product
 from .plans.networks import Node
 
@@ -118,15 +119,10 @@ def batch_frequencies(db: Database, shape: str, queries: Sequence[tuple[int, lis
     """``(qid, term, freq)`` of all queries of a batch in one plan."""
     facts, leaves = _batch_facts(db, shape, queries)
     n = len(leaves)
-    out = facts.select("qid", F.explode("terms").alias("term"), product([F.col(f"n{i}") for i in range(n)]).alias("part"))
-    each, all_rows = [], None
-    for i, (key, rows) in enumerate(leaves):
-        others = product([F.col(f"n{j}") for j in range(n) if j != i])
-        each.append(F.struct(F.lit(i).alias("leaf"), F.col(key).alias("key"), others.alias("part")))
-        tagged = rows.select("qid", F.lit(i).alias("leaf"), "key", "terms")
-        all_rows = tagged if all_rows is None else all_rows.unionByName(tagged)
-    volumes = facts.select("qid", F.inline(F.array(*each))).groupBy("qid", "leaf", "key").agg(F.sum("part").alias("part"))
-    out = out.unionByName(all_rows.join(volumes, ["qid", "leaf", "key"]).select("qid", F.explode("terms").alias("term"), "part"))
+    others = [product([F.col(f"n{j}") for j in range(n) if j != i]) for i in range(n)]
+    sums = one_pass(facts, [F.col(key) for key, _ in leaves], others, product([F.col(f"n{i}") for i in range(n)]), ["qid"])
+    texts = [rows.select("qid", F.lit(i).alias("leaf"), "key", "terms") for i, (_, rows) in enumerate(leaves, 1)]
+    out = meet_texts(sums, reduce(DataFrame.unionByName, texts), ["qid"])
     return out.groupBy("qid", "term").agg(F.sum("part").alias("freq"))
 
 
