@@ -24,34 +24,6 @@ def sum_terms(parts: DataFrame) -> DataFrame:
     return parts.groupBy("term").agg(F.sum("part").alias("freq"))
 
 
-def one_pass(facts: DataFrame, keys: Sequence[Column], parts: Sequence[Column], whole: Column, by: Sequence[str] = ()) -> DataFrame:
-    """``(by, leaf, key, term, part)``: the volumes of all leaf keys and the sums of the facts' own terms, in one pass.
-
-    ``facts`` has ``terms``; ``keys`` and ``parts`` are the key and the results of a fact for each leaf, ``whole`` its
-    results. Leaves are numbered from 1 and have no term. Own terms have no key and numbers beyond the last leaf, spread by a hash,
-    so that a join by (leaf, key) deals them over all tasks and matches none.
-    """
-    d = len(keys)
-    slots = F.concat(F.array_repeat(F.lit(None).cast("string"), d), F.col("terms"))
-    rows = facts.select(*by, *[k.alias(f"_key{i}") for i, k in enumerate(keys)], *[x.alias(f"_part{i}") for i, x in enumerate(parts)], whole.alias("_whole"), F.posexplode(slots).alias("_pos", "term"))
-
-    def chosen(prefix: str, other: Column) -> Column:
-        out = F
-        for i in range(d):
-            out = out.when(F.col("_pos") == i, F.col(f"{prefix}{i}"))
-        return out.otherwise(other)
-
-    leaf = F.when(F.col("_pos") < d, F.col("_pos") + 1).otherwise(F.pmod(F.xxhash64("term"), F.lit(1 << 20)).cast("int") + (d + 1))
-    each = rows.select(*by, leaf.alias("leaf"), chosen("_key", F.lit(None)).alias("key"), "term", chosen("_part", F.col("_whole")).alias("part"))
-    return each.groupBy(*by, "leaf", "key", "term").agg(F.sum("part").alias("part"))
-
-
-def meet_texts(sums: DataFrame, leaves: DataFrame, by: Sequence[str] = ()) -> DataFrame:
-    """``(by, term, part)`` from the sums of ``one_pass`` and ``(by, leaf, key, terms)`` of all leaves."""
-    met = sums.join(leaves, [*by, "leaf", "key"], "left")
-    return met.select(*by, F.explode(F.when(F.col("term").isNull(), F.col("terms")).otherwise(F.array("term"))).alias("term"), "part")
-
-
 def star_frequencies(star: Star, drop: Sequence[str] = (), emit: str = "each") -> DataFrame:
     """``(term, freq)`` of a star by its volumes: each tuple's terms weigh as many results as it occurs in."""
     records = volume_records(star).select("volume", without(F.col("terms"), drop).alias("terms"))
