@@ -179,7 +179,7 @@ def _common(owner: np.ndarray, value: np.ndarray, left: np.ndarray, right: np.nd
         common += has[left] @ has[right].T
     who, column = owner[~dense], value[~dense]
     flat = common.reshape(-1)
-    for step in range(DENSE):
+    for step in range(min(DENSE, len(column))):
         # neighbours at each distance among the holders of one value, in both orders
         a = np.flatnonzero(column[: len(column) - step] == column[step:])
         for x, y in ((who[a], who[a + step]), (who[a + step], who[a])) if step else ((who[a], who[a]),):

@@ -306,6 +306,15 @@ def test_near_duplicates_against_brute_force(spark, monkeypatch):
     assert kept == {i for i, _, _, k in _near_truth(ids, texts, 5, 80) if k}
 
 
+def test_common_values_of_few_rare_values():
+    # fewer rare values in a block than the distances at which holders are compared
+    for n in range(1, 40):
+        owner, value = np.arange(n) % 5, np.arange(n) // 5
+        common = minhash._common(owner, value, np.array([0, 1]), np.array([1, 2, 3, 4]), 5)
+        sets = [set(value[owner == d].tolist()) for d in range(5)]
+        assert common.tolist() == [[len(sets[x] & sets[y]) for y in (1, 2, 3, 4)] for x in (0, 1)], n
+
+
 def test_near_duplicates_odd_rows(odd, empty):
     got = minhash.near_duplicates(odd)
     assert got.count() == odd.count()
