@@ -3,6 +3,8 @@
 import pytest
 from conftest import SF
 
+from termgrid.catalog import Database
+from termgrid.operators import measures
 from termgrid.queries import ORACLES, QUERIES
 
 
@@ -103,3 +105,23 @@ def test_whole_triangle_has_every_line_item(spark):
     want = sorted((a, b, c) for a, c in t for b in suppliers[c] if (a, b) in r)
     got = sorted(tuple(x) for x in QUERIES["triangle_grid_join"](spark, SF).collect())
     assert got == want and lines <= set(got)
+
+
+@pytest.mark.parametrize("name", ["leaf_replication_factor", "roundtrip_json_csv", "running_example", "schema_graph_edges"])
+def test_small_queries_read_given_tables(name, spark):
+    read = []
+    table = Database.table
+
+    def noted(self, name):
+        read.append(name)
+        return table(self, name)
+
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(Database, "table", noted)
+        assert QUERIES[name](spark, SF).count() > 0
+    assert read
+
+
+def test_measured_copies_are_the_planned_ones(spark):
+    got = {r["leaf"]: (r["factor"], r["n_rows"]) for r in _rows("leaf_replication_factor", spark)}
+    assert got == {i: (f, _n(spark, t)) for i, (f, t) in enumerate(zip(measures.replication_factors([2, 2, 2]), ("part", "supplier", "orders")), 1)}
