@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACES, broadcast_below, checkpointed, unused, words
+from .common import SPACE_RUN, SPACES, broadcast_below, checkpointed, unused
 
 #: Tokens that lead to a leaf, parts of the rest of which one may vary, tokens from which a part may vary.
 LEADING, PARTS, VARIES_FROM = 3, 4, 12
@@ -20,30 +20,34 @@ REPEATED_ROWS = 1_000_000
 
 
 def _templates(line: Column) -> Column:
-    """Array of the templates of a line, each a pair of 64-bit hashes.
+    """Array of the templates of a line without white space at its ends, each a pair of 64-bit hashes.
 
     The path to the leaf is the token count and the leading tokens, tokens with digits being fields. Under it the other
     tokens form equal parts; a template leaves one part open, so lines that differ in that part only share it. Lines of 5
     to 11 tokens have a template for each token but the two leading ones, which it leaves open; shorter lines have one
     without an open token. Lines of more fields than words keep their tokens. The lowest bit of the first hash tells passages.
     """
-    masked = F.when(line.rlike("[0-9]"), F.regexp_replace(line, r"[^\x20\x09-\x0D]*[0-9][^\x20\x09-\x0D]*", "<*>")).otherwise(line)
+    bound = lambda x, f: F.get(F.transform(F.array(x), f), F.lit(0))
+    pair = lambda flag, open_, *of: F.struct(F.xxhash64(open_, *of).bitwiseAND(F.lit(-2)).bitwiseOR(flag).alias("a"), F.xxhash64(*of, open_, F.lit("b")).alias("b"))
 
+    # lambdas are interpreted and share nothing, so each hash of tokens is bound before the templates combine it
     def of(w: Column) -> Column:
         n = F.size(w)
-        lead, step = F.xxhash64(n, F.slice(w, 1, LEADING)), F.ceil((n - LEADING) / PARTS).cast("int")
-        parts = [F.xxhash64(F.slice(w, LEADING + 1 + step * p, F.greatest(step, F.lit(0)))) for p in range(PARTS)]
-        flag = (n > PASSAGE_WORDS).cast("long")
-        pair = lambda open_, *of: F.struct(F.xxhash64(open_, *of).bitwiseAND(F.lit(-2)).bitwiseOR(flag).alias("a"), F.xxhash64(*of, open_, F.lit("b")).alias("b"))
-        opened = lambda i: F.xxhash64(n, F.transform(w, lambda x, j: F.when(j == i, "<*>").otherwise(x)))
-        one = F.transform(F.sequence(F.lit(SHORT_LEADING), n - 1), lambda i: pair(i, opened(i)))
-        four = F.array(*[pair(F.lit(p), lead, *[x for k, x in enumerate(parts) if k != p]) for p in range(PARTS)])
-        return F.when(n < ONE_FROM, F.array(pair(F.lit(-1), lead, F.xxhash64(w)))).when(n < VARIES_FROM, one).otherwise(four)
-
+        step, none = F.ceil((n - LEADING) / PARTS).cast("int"), F.lit(0).cast("long")
+        lead = F.xxhash64(n, F.slice(w, 1, LEADING))
+        parts = lambda step: F.array(lead, *[F.xxhash64(F.slice(w, LEADING + 1 + step * p, F.greatest(step, F.lit(0)))) for p in range(PARTS)], (n > PASSAGE_WORDS).cast("long"))
+        four = bound(bound(step, parts), lambda h: F.array(*[pair(F.get(h, F.lit(PARTS + 1)), F.lit(p), *[F.get(h, F.lit(k)) for k in range(PARTS + 1) if k != p + 1]) for p in range(PARTS)]))
+        each = lambda h: bound(F.aggregate(h, none, lambda x, y: x.bitwiseXOR(y)), lambda all_: F.transform(F.slice(h, SHORT_LEADING + 1, n), lambda x, i: pair(none, i, n, all_.bitwiseXOR(x))))
+        one = bound(F.transform(w, lambda x, i: F.xxhash64(x, i)), each)
+        return F.when(n < ONE_FROM, F.array(pair(none, F.lit(-1), lead, F.xxhash64(w)))).when(n < VARIES_FROM, one).otherwise(four)
+
+    # single spaces need no regular expression, which splitting would compile for each line
+    plain = lambda x: F.when(x.contains("  ") | x.rlike(r"[\x09-\x0D]"), F.split(x, SPACE_RUN)).otherwise(F.split(x, " "))
+    masked = F.regexp_replace(line, r"[^\x20\x09-\x0D0-9]*+[0-9][^\x20\x09-\x0D]*+", "<*>")
     # a line of more fields than words, such as a row of a table, has no template but itself
-    fields = lambda w: F.size(F.filter(w, lambda x: x == "<*>"))
-    chosen = F.transform(F.array(words(masked)), lambda w: F.when(2 * fields(w) > F.size(w), words(line)).otherwise(w))
-    return F.get(F.transform(chosen, of), F.lit(0))
+    fields = lambda w: F.size(w) - F.size(F.array_remove(w, "<*>"))
+    chosen = F.when(line.rlike("[0-9]"), bound(bound(masked, plain), lambda w: F.when(2 * fields(w) > F.size(w), plain(line)).otherwise(w))).otherwise(plain(line))
+    return bound(chosen, of)
 
 
 def repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS, passage_docs: int = PASSAGE_DOCS) -> DataFrame:
@@ -53,7 +57,8 @@ def repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS, passage_docs: int
     in a document of smaller ``doc_id``: the first document keeps its lines. Counting is a partial aggregate, so one line
     in every document costs one row for each task. Only rows that share a ``doc_id`` are brought together before.
     """
-    rows = docs.where("doc_id is not null and text is not null").select("doc_id", F.transform(F.split("text", "\n"), lambda x: F.when(F.btrim(x, F.lit(SPACES)) != "", _templates(x))).alias("lines"))
+    trimmed = F.transform(F.split("text", "\n"), lambda x: F.btrim(x, F.lit(SPACES)))
+    rows = docs.where("doc_id is not null and text is not null").select("doc_id", F.transform(trimmed, lambda x: F.when(x != "", _templates(x))).alias("lines"))
     seen = checkpointed(rows)
     again = broadcast_below(checkpointed(docs.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")), REPEATED_ROWS)
     flat = seen.select("doc_id", F.posexplode("lines").alias("pos", "ts")).where("ts is not null").select("doc_id", "pos", F.inline("ts"))
