@@ -62,11 +62,16 @@ def broadcast_below(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
+#: Edges that one task of a round takes at least, and the least number of tasks.
+EDGE_ROWS, EDGE_TASKS = 50_000, 16
+
+
 def components(edges: DataFrame, a: str = "src", b: str = "dst", rounds: int = 60) -> DataFrame:
     """``(node, component)`` for each node on an edge; component = smallest node reachable.
 
     Alternates joining every larger neighbour to a node's minimum with joining every node's neighbours to its smaller
     minimum, until nothing changes. The number of rows never exceeds that of the edges, whatever the shape of the graph.
+    Each shuffle writes files for every task before it, so a round has as many tasks as its edges need.
     """
     e = checkpointed(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct())
 
@@ -79,7 +84,7 @@ def components(edges: DataFrame, a: str = "src", b: str = "dst", rounds: int = 6
             out = joined.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         else:
             out = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
-        return out.where("u <> v").distinct()
+        return out.where("u <> v").coalesce(tasks).distinct().coalesce(tasks)
 
     def mark(pairs: DataFrame) -> tuple:
         return tuple(pairs.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
@@ -88,7 +93,8 @@ def components(edges: DataFrame, a: str = "src", b: str = "dst", rounds: int = 6
     for _ in range(rounds):
         if not last[0]:
             break
-        e = checkpointed(star(star(e, True), False))
+        tasks = max(EDGE_TASKS, -(-last[0] // EDGE_ROWS))
+        e = checkpointed(star(star(e.coalesce(tasks), True), False))
         now = mark(e)
         if now == last:
             break
