@@ -11,11 +11,13 @@ from pyspark.sql import functions as F
 
 from ..shipping import shipped
 from .common import broadcast_below, checkpointed
-from .tokens import encoder, in_pieces
+from .tokens import KEPT, encoder, in_pieces
 
 CAPACITY, END = 2048, 0
 #: Parts in which the ranks of one length are counted.
 PARTS = 256
+#: Rows whose texts become strings at once.
+ROWS = 256
 
 
 def best_fit(histogram: dict[int, int], capacity: int = CAPACITY) -> np.ndarray:
@@ -48,13 +50,18 @@ def best_fit(histogram: dict[int, int], capacity: int = CAPACITY) -> np.ndarray:
     return np.array(rows, np.int64).reshape(-1, 5)[np.lexsort((np.array([x[1] for x in rows], np.int64), np.array([x[0] for x in rows], np.int64)))] if rows else np.zeros((0, 5), np.int64)
 
 
-def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
-    """``doc_id, piece, start, length, ids_crc32``: each document's ids with the end id, cut into pieces from its end."""
+def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int = END, kept: int = KEPT) -> DataFrame:
+    """``doc_id, piece, start, length, ids_crc32``: each document's ids with the end id, cut into pieces from its end.
+
+    A worker keeps the ids of ``kept`` frequent strings, twice at most.
+    """
     tail = int(end).to_bytes(4, "little")
 
     def run(batches):
-        encode = encoder(tokenizer)
-        for batch in batches:
+        # what earlier stages of this worker have freed
+        pa.default_memory_pool().release_unused()
+        encode = encoder(tokenizer, kept)
+        for batch in (b.slice(k, ROWS) for b in batches for k in range(0, len(b), ROWS)):
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for i, j in in_pieces(texts):
                 out = []
@@ -69,14 +76,14 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int =
     return shipped(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
-def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int = END, kept: int = KEPT) -> DataFrame:
     """Every piece of every row with ``sequence_id`` and ``offset``; sequences are filled without gaps.
 
     The histogram of lengths (at most ``capacity`` rows) is planned on the driver; pieces take the slots by their rank
     among those of their length. Ranks are counted in parts by a hash of the id, so a frequent length spreads over tasks.
     Null and empty texts give the end id alone; null ids and repeated rows are packed like others. No rows give none.
     """
-    cut = checkpointed(pieces(docs, tokenizer, capacity, end).withColumn("part", F.pmod(F.xxhash64("doc_id", "ids_crc32"), F.lit(PARTS))))
+    cut = checkpointed(pieces(docs, tokenizer, capacity, end, kept).withColumn("part", F.pmod(F.xxhash64("doc_id", "ids_crc32"), F.lit(PARTS))))
     counts = checkpointed(cut.groupBy("length", "part").agg(F.count("*").alias("n")))
     histogram = {r.length: r.n for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}
     slots = best_fit(histogram, capacity)

@@ -61,6 +61,7 @@ class Encoder:
         self.folds = self._whole(" \u00c9Zyq") == self._whole("\n\u00e9zyq") == self._whole("\u00e9zyq")
         self.newline = b"" if self.folds else self._whole("\n")
         self.pieces = Pieces(self._ids, {})
+        self.kept = KEPT
         self.direct = True
         self.direct = all(self._ids(p) == self._whole(p) for p in _PROBES)
         self.pieces = Pieces(self._ids, {})
@@ -101,7 +102,7 @@ class Encoder:
         return text.replace(" ", "\0 ").replace("\n", "\0\n").split("\0") if text else []
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
-        if len(self.pieces) > KEPT:
+        if len(self.pieces) > self.kept:
             last = self.pieces
             last.old = {}
             self.pieces = Pieces(self._ids, last)
@@ -110,9 +111,10 @@ class Encoder:
         return [self._whole(t) if t and any(a in t for a in self.added) else b"".join(map(get, self._cut(t or ""))) for t in texts]
 
 
-def encoder(path: str) -> Encoder:
+def encoder(path: str, kept: int = KEPT) -> Encoder:
     if path not in _encoders:
         _encoders[path] = Encoder(path)
+    _encoders[path].kept = kept
     return _encoders[path]
 
 

@@ -11,7 +11,7 @@ import pytest
 from conftest import SF
 from pyspark.sql import functions as F
 
-from termgrid.llm import binary_output, html_text, langid, licenses, line_dedup, minhash, mixing, packing, quality, vector_dedup
+from termgrid.llm import binary_output, html_text, langid, licenses, line_dedup, minhash, mixing, packing, quality, tokens, vector_dedup
 from termgrid.llm.common import components
 from termgrid.llm.queries import ORACLES, QUERIES
 
@@ -143,6 +143,23 @@ def test_index_is_minimal_and_refuses_strangers():
         binary_output.Index.build(np.array([3, 3]))
 
 
+def test_encoder_keeps_as_much_as_it_may():
+    import public_tokenizers
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    texts = [" ".join(f"word{chr(97 + i % 26)}{chr(97 + k % 26)}{chr(97 + i // 26)}" for k in range(26)) for i in range(200)]
+    few = tokens.encoder(path, 50)
+    want = [few._whole(t) for t in texts]
+    few.pieces = tokens.Pieces(few._ids, {})
+    got = []
+    for t in texts:
+        got += few.encode([t])
+        # one call may add its own strings, with and without what stands around them
+        assert len(few.pieces) <= 50 + 2 * 26 and len(few.pieces.old) <= 50 + 2 * 26
+    assert got == want
+    assert tokens.encoder(path).kept == tokens.KEPT
+
+
 def test_best_fit_plan():
     rng = np.random.default_rng(0)
     lengths = Counter(rng.integers(1, 2049, 4000).tolist()) + Counter({2048: 50, 1024: 301, 1: 5000})
