@@ -614,6 +614,12 @@ def test_passages_go_from_their_second_document_on(spark):
     assert got == {d: t.split("\n")[0] if d in (1, 2) else t for d, t in docs}
 
 
+def test_tokens_of_a_line_are_hashed_once(spark):
+    # what interpreted lambdas repeat is computed again: hashes of slices of tokens stand in the expression as few times as there are parts
+    text = str(line_dedup._templates(F.col("x"))).lower()
+    assert 0 < text.count("slice(") <= 2 * (line_dedup.PARTS + 2)
+
+
 def test_lines_odd_rows(odd, empty):
     got = line_dedup.drop_repeated_lines(odd)
     assert got.count() == odd.count() and got.columns == [*odd.columns, "tpl_lines", "tpl_dropped"]
